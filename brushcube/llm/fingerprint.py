@@ -24,6 +24,8 @@ from pyspark.sql import functions as F
 from .common import SPACED_WORD, table, words_of
 
 SHINGLE, SCALE, SMALL, RANGE = 5, 8, 64, 4096
+#: Ranges' first ids (three numbers each) are broadcast up to so many ranges; beyond, Spark joins by shuffling.
+BROADCAST_HEADS = 100_000
 
 
 def kept(h: Column, scale: int = SCALE) -> Column:
@@ -82,6 +84,8 @@ def in_ranges(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Da
     heads = rows.groupBy("span").agg(F.max(doc_id).alias("head_id"))
     turn = W.orderBy(F.col("span").desc())  # one row per range of about RANGE documents
     heads = heads.withColumns({"head_span": F.col("span"), "upper": F.coalesce(F.lag("span").over(turn), F.min("span").over(W.partitionBy()))}).drop("span")
+    if (hi - lo) // width + 2 <= BROADCAST_HEADS:  # no more spans than that
+        heads = F.broadcast(heads)
     found = rows.join(heads, F.col("span").eqNullSafe(F.col("head_span")) & F.col(doc_id).eqNullSafe(F.col("head_id")))
     guests = found.groupBy("upper", doc_id).agg(F.max(text).alias(text)).select(doc_id, text, F.col("upper").alias("span"), F.lit(True).alias("guest"))
     return rows.withColumn("guest", F.lit(False)).unionByName(guests)
@@ -92,8 +96,8 @@ def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") ->
     docs = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(text, F.lit("")).alias("text"))
     rows = add_fingerprint(in_ranges(docs), F.col("text"), "")
     order = W.partitionBy("span").orderBy("guest", F.col("doc_id").desc_nulls_last(), F.col("text").desc())
-    rows = rows.withColumn("follower", F.lead(F.struct("text", "hashes", "scale")).over(order)).where(~F.col("guest"))
-    return rows.select("doc_id", "text", "hashes", "scale", *[F.col(f"follower.{c}").alias(f"next_{c}") for c in ("text", "hashes", "scale")])
+    # column by column: a struct would be built below the exchange and travel beside its parts
+    return rows.withColumns({f"next_{c}": F.lead(c).over(order) for c in ("text", "hashes", "scale")}).where(~F.col("guest")).drop("guest", "span")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
