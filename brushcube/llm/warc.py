@@ -159,6 +159,11 @@ def read_archives(spark: SparkSession, folder: str, payloads: bool = True) -> Da
 
     def read(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         names = [c.split()[0] for c in RECORD.split(", ")]
+
+        def frame(rows: list[tuple]) -> pd.DataFrame:  # ids never pass through floats
+            cols = dict(zip(names, zip(*rows, strict=True), strict=True))
+            return pd.DataFrame({c: pd.array(v, "Int64") if c in ("page_id", "refers_to") else list(v) for c, v in cols.items()})
+
         for pdf in batches:
             for content in pdf["content"]:
                 rows, size = [], 0
@@ -166,10 +171,10 @@ def read_archives(spark: SparkSession, folder: str, payloads: bool = True) -> Da
                     rows.append(r if payloads else (*r[:6], None))
                     size += len(r[6] or b"") if payloads else 0
                     if len(rows) >= 5000 or size > 16 << 20:
-                        yield pd.DataFrame(rows, columns=names).astype({"page_id": "Int64", "refers_to": "Int64"})
+                        yield frame(rows)
                         rows, size = [], 0
                 if rows:
-                    yield pd.DataFrame(rows, columns=names).astype({"page_id": "Int64", "refers_to": "Int64"})
+                    yield frame(rows)
 
     listed = spark.read.schema(MANIFEST).parquet(f"{folder}/manifest").select(F.col("archive").alias("listed"))
     if listed.isEmpty():
