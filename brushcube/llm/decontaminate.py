@@ -9,8 +9,8 @@ then compared word for word. The hit positions of a document are the union of it
 Rarity is counted over all items; ties go to the longer word, then to the word order. It steers cost only.
 
 Defined results: null or empty texts have no words, no hits and are not contaminated; items without words
-have no window; equal items all count; repeated documents are judged each on its own; other columns of the inputs
-are not touched. Documents are never grouped by content: every row travels under its own row number.
+have no window; equal items all count; repeated documents are judged each on its own; other columns
+are kept (but for the operator's own names). Documents are never grouped by content: every row travels under its own row number.
 """
 
 from __future__ import annotations
@@ -71,6 +71,8 @@ def occurrences(docs: DataFrame, windows: DataFrame, text: str = "text", width:
 
 def decontaminate(docs: DataFrame, items: DataFrame, text: str = "text", width: int = WINDOW) -> DataFrame:
     """``docs`` without its text, with n_words, n_hit, n_items, items_sha256, item_ids, hit_places and contaminated."""
+    own = ("n_words", "n_hit", "n_items", "items_sha256", "item_ids", "hit_places", "contaminated", "places", "row_no", "doc_words", "cands")
+    docs = docs.drop(*[c for c in own if c in docs.columns])
     found = occurrences(docs, item_windows(items, width=width), text, width)
     covered = F.array_distinct(F.flatten(F.transform("places", lambda p: F.sequence(p["start"], p["start"] + p["size"] - 1))))
     ids = F.array_sort(F.array_distinct(F.flatten(F.transform("places", lambda p: p["items"]))))

@@ -105,6 +105,8 @@ def train_on(docs: DataFrame, text: str = "text") -> LicenceModel:
 def scan(docs: DataFrame, model: LicenceModel, text: str = "text") -> DataFrame:
     """``docs`` without its text, with n_paragraphs, n_licensed, licence, families, probability and confirmed."""
     spark = docs.sparkSession
+    own = ("n_paragraphs", "n_licensed", "licence", "families", "probability", "confirmed", "row_no", "paragraphs", "hot")
+    docs = docs.drop(*[c for c in own if c in docs.columns])
     keep = [c for c in docs.columns if c != text]
     triggers = sorted(model.triggers)
     rows = docs.select(F.monotonically_increasing_id().alias("row_no"), *keep, F.split(F.lower(F.coalesce(text, F.lit(""))), "\n").alias("paragraphs"))

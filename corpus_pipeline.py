@@ -16,7 +16,7 @@ from brushcube.llm.common import hand_over, table
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier rejects go; null and empty texts stay."""
     model = toxicity.train_on(docs, table(spark, sf_dir, "labels").select("doc_id", "toxic"))
-    return toxicity.classify(docs, model).where("predicted = 0").select(*docs.columns)
+    return docs.withColumn("__toxicity", toxicity.scorer(model)(F.col("text"))).where("__toxicity < 0.5").drop("__toxicity")
 
 
 def jaccard_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
