@@ -66,9 +66,13 @@ def _tables(f: Callable[..., DataFrame], *names: str) -> Callable[[SparkSession,
     return lambda spark, sf_dir: f(*[load(spark, sf_dir, n) for n in names])
 
 
-_flag_sum = [F.count("*").alias("n"), _r(F.sum("l_quantity"), 2).alias("q")]
-_RANK = W.partitionBy("o_orderpriority").orderBy(F.col("o_totalprice").desc(), "o_orderkey")
-_USER = W.partitionBy("user_id").orderBy("ts", "event_id")
+# Functions, since columns and windows need a session and the oracle's SQL must be readable without one.
+def _rank():
+    return W.partitionBy("o_orderpriority").orderBy(F.col("o_totalprice").desc(), "o_orderkey")
+
+
+def _user():
+    return W.partitionBy("user_id").orderBy("ts", "event_id")
 
 
 def _ranges(ev: DataFrame) -> DataFrame:
@@ -98,23 +102,23 @@ QUERIES: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]] = {
     "op_join_asof": (_tables(_as_of, "events"), "SELECT b.event_id, (SELECT arg_max(c.event_id, row(c.ts, c.event_id)) FROM events c WHERE c.event_type = 'click' AND c.user_id = b.user_id AND c.ts <= b.ts) AS last_click FROM events b WHERE event_type = 'purchase'"),
     "op_join_salted": (_tables(lambda li, o: salted_join(li.select("l_orderkey", "l_linenumber", "l_quantity").withColumnRenamed("l_orderkey", "k"), o.select(F.col("o_orderkey").alias("k"), "o_orderstatus"), "k").groupBy("o_orderstatus").agg(F.count("*").alias("n")), "lineitem", "orders"), "SELECT o_orderstatus, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1"),
     "op_join_cross": (_tables(lambda n, r: n.crossJoin(F.broadcast(r)).select("n_name", "r_name"), "nation", "region"), "SELECT n_name, r_name FROM nation, region"),
-    "op_agg_hash": (_tables(lambda li: li.groupBy("l_returnflag", "l_linestatus").agg(*_flag_sum), "lineitem"), "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS q FROM lineitem GROUP BY 1, 2"),
+    "op_agg_hash": (_tables(lambda li: li.groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), _r(F.sum("l_quantity"), 2).alias("q")), "lineitem"), "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS q FROM lineitem GROUP BY 1, 2"),
     "op_agg_filter": (_tables(lambda li: li.groupBy("l_returnflag").agg(F.expr("count(*) FILTER (WHERE l_tax > 0.04D)").alias("n")), "lineitem"), "SELECT l_returnflag, count(*) FILTER (WHERE l_tax > CAST(0.04 AS DOUBLE)) AS n FROM lineitem GROUP BY 1"),
     "op_agg_distinct": (_tables(lambda li: li.groupBy("l_returnflag").agg(F.count_distinct("l_suppkey").alias("n")), "lineitem"), "SELECT l_returnflag, count(DISTINCT l_suppkey) AS n FROM lineitem GROUP BY 1"),
     "op_rollup": (_tables(lambda li: li.rollup("l_returnflag", "l_linestatus").agg(F.count("*").alias("n")), "lineitem"), "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY ROLLUP (1, 2)"),
     "op_cube": (_tables(lambda li: li.cube("l_returnflag", "l_linestatus").agg(F.count("*").alias("n")), "lineitem"), "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)"),
     "op_grouping_sets": (_tables(lambda li: li.groupingSets([["l_returnflag"], ["l_linestatus"]], "l_returnflag", "l_linestatus").agg(F.count("*").alias("n")), "lineitem"), "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus))"),
-    "op_win_rank": (_tables(lambda o: o.select("o_orderkey", F.row_number().over(_RANK).alias("rn"), F.rank().over(_RANK).alias("rk"), F.dense_rank().over(_RANK).alias("dr"), F.ntile(4).over(_RANK).alias("nt"), _r(F.percent_rank().over(_RANK)).alias("pr")), "orders"), "SELECT o_orderkey, row_number() OVER r AS rn, rank() OVER r AS rk, dense_rank() OVER r AS dr, ntile(4) OVER r AS nt, round(percent_rank() OVER r, 6) AS pr FROM orders WINDOW r AS (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey)"),
-    "op_win_lag_lead": (_tables(lambda e: e.select("event_id", F.lag("value").over(_USER).alias("before"), F.lead("value").over(_USER).alias("after")), "events"), "SELECT event_id, lag(value) OVER u AS before, lead(value) OVER u AS after FROM events WINDOW u AS (PARTITION BY user_id ORDER BY ts, event_id)"),
-    "op_win_first_last": (_tables(lambda e: e.select("event_id", F.first("value").over(_USER).alias("first"), F.last("value").over(_USER).alias("last")), "events"), "SELECT event_id, first_value(value) OVER u AS first, last_value(value) OVER u AS last FROM events WINDOW u AS (PARTITION BY user_id ORDER BY ts, event_id)"),
-    "op_win_rows": (_tables(lambda e: e.select("event_id", _r(F.sum("value").over(_USER.rowsBetween(-2, 0))).alias("s")), "events"), "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 6) AS s FROM events"),
+    "op_win_rank": (_tables(lambda o: o.select("o_orderkey", F.row_number().over(_rank()).alias("rn"), F.rank().over(_rank()).alias("rk"), F.dense_rank().over(_rank()).alias("dr"), F.ntile(4).over(_rank()).alias("nt"), _r(F.percent_rank().over(_rank())).alias("pr")), "orders"), "SELECT o_orderkey, row_number() OVER r AS rn, rank() OVER r AS rk, dense_rank() OVER r AS dr, ntile(4) OVER r AS nt, round(percent_rank() OVER r, 6) AS pr FROM orders WINDOW r AS (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey)"),
+    "op_win_lag_lead": (_tables(lambda e: e.select("event_id", F.lag("value").over(_user()).alias("before"), F.lead("value").over(_user()).alias("after")), "events"), "SELECT event_id, lag(value) OVER u AS before, lead(value) OVER u AS after FROM events WINDOW u AS (PARTITION BY user_id ORDER BY ts, event_id)"),
+    "op_win_first_last": (_tables(lambda e: e.select("event_id", F.first("value").over(_user()).alias("first"), F.last("value").over(_user()).alias("last")), "events"), "SELECT event_id, first_value(value) OVER u AS first, last_value(value) OVER u AS last FROM events WINDOW u AS (PARTITION BY user_id ORDER BY ts, event_id)"),
+    "op_win_rows": (_tables(lambda e: e.select("event_id", _r(F.sum("value").over(_user().rowsBetween(-2, 0))).alias("s")), "events"), "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 6) AS s FROM events"),
     "op_win_range": (_tables(lambda o: o.select("o_orderkey", F.count("*").over(W.partitionBy("o_orderpriority").orderBy("o_totalprice").rangeBetween(-1000, 0)).alias("n")), "orders"), "SELECT o_orderkey, count(*) OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice RANGE BETWEEN 1000 PRECEDING AND CURRENT ROW) AS n FROM orders"),
-    "op_win_then_filter": (_tables(lambda e: e.withColumn("rn", F.row_number().over(_USER)).where("rn % 10 = 0").select("event_id", "rn"), "events"), "SELECT * FROM (SELECT event_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS rn FROM events) WHERE rn % 10 = 0"),
+    "op_win_then_filter": (_tables(lambda e: e.withColumn("rn", F.row_number().over(_user())).where("rn % 10 = 0").select("event_id", "rn"), "events"), "SELECT * FROM (SELECT event_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS rn FROM events) WHERE rn % 10 = 0"),
     "op_sort": (_tables(lambda p: p.select("p_partkey", "p_size").orderBy("p_size", "p_partkey"), "part"), "SELECT p_partkey, p_size FROM part"),
     "op_limit_offset": (_tables(lambda p: p.select("p_partkey", "p_size").orderBy("p_size", "p_partkey").offset(30).limit(10), "part"), "SELECT p_partkey, p_size FROM part ORDER BY p_size, p_partkey LIMIT 10 OFFSET 30"),
     "op_keyset_page": (_tables(lambda p: keyset_page(p.select("p_partkey", "p_size"), "p_size", "p_partkey", (10, 50), 10), "part"), "SELECT p_partkey, p_size FROM part WHERE p_size > 10 OR (p_size = 10 AND p_partkey > 50) ORDER BY p_size, p_partkey LIMIT 10"),
     "op_topk": (_tables(lambda o: o.select("o_orderkey", "o_totalprice").orderBy(F.col("o_totalprice").desc(), "o_orderkey").limit(10), "orders"), "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10"),
-    "op_topk_per_group": (_tables(lambda o: o.withColumn("rn", F.row_number().over(_RANK)).where("rn <= 3").select("o_orderpriority", "o_orderkey", "rn"), "orders"), "SELECT * FROM (SELECT o_orderpriority, o_orderkey, row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey) AS rn FROM orders) WHERE rn <= 3"),
+    "op_topk_per_group": (_tables(lambda o: o.withColumn("rn", F.row_number().over(_rank())).where("rn <= 3").select("o_orderpriority", "o_orderkey", "rn"), "orders"), "SELECT * FROM (SELECT o_orderpriority, o_orderkey, row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey) AS rn FROM orders) WHERE rn <= 3"),
     "op_union": (_tables(lambda c, s: c.select(F.col("c_nationkey").alias("k")).unionByName(s.select(F.col("s_nationkey").alias("k"))).groupBy("k").agg(F.count("*").alias("n")), "customer", "supplier"), "SELECT k, count(*) AS n FROM (SELECT c_nationkey AS k FROM customer UNION ALL SELECT s_nationkey FROM supplier) GROUP BY 1"),
     "op_union_distinct": (_tables(lambda c, s: c.select(F.col("c_nationkey").alias("k")).union(s.select("s_nationkey")).distinct(), "customer", "supplier"), "SELECT c_nationkey AS k FROM customer UNION SELECT s_nationkey FROM supplier"),
     "op_intersect": (_tables(lambda c, s: c.select(F.col("c_nationkey").alias("k")).intersect(s.select("s_nationkey")), "customer", "supplier"), "SELECT c_nationkey AS k FROM customer INTERSECT SELECT s_nationkey FROM supplier"),
