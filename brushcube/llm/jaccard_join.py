@@ -40,6 +40,8 @@ from .components import components
 SHINGLE, SLACK, SPARE, SMALL_SET = 5, 1.15, 2, 64
 OWN, OWN_DELETED, BELOW, BELOW_DELETED = range(4)
 _K = [np.uint64(k) for k in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53)]
+#: Groups of more classes, or of more shingles together, are compared in blocks of so many.
+JOINED, BLOCK, TOKENS = 32, 512, 400_000
 BITS = 25  # log2 of the bits of the scan filter: 4 MB, whatever the data
 
 
@@ -122,7 +124,7 @@ def _pack(parts: int, role: int, cls: np.ndarray, sig: np.ndarray) -> Iterator[t
     part = ((sig >> np.uint64(40)) * np.uint64(parts) >> np.uint64(24)).astype(np.int64)
     order = np.lexsort((cls, part))
     part, cls, sig = part[order], cls[order], sig[order]
-    edge = np.flatnonzero(np.r_[True, part[1:] != part[:-1]])
+    edge = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else part
     for a, b in zip(edge, np.r_[edge[1:], len(part)]):
         c, s = cls[a:b], sig[a:b]
         first = np.flatnonzero(np.r_[True, c[1:] != c[:-1]])
@@ -282,7 +284,7 @@ def _free(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def jaccard_links(docs: DataFrame, rounds: int = 4) -> tuple[DataFrame, DataFrame]:
+def jaccard_links(docs: DataFrame, rounds: int = 1) -> tuple[DataFrame, DataFrame]:
     """(rows, links): per document doc_id, n, cls; and verified links (u, v) between classes that join all that are similar."""
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
@@ -318,39 +320,96 @@ def jaccard_links(docs: DataFrame, rounds: int = 4) -> tuple[DataFrame, DataFram
     if leftover:
         links = links.union(hand_over(_verify(extra, sets), "links"))
     _free(spark)
-    labelled = live.withColumn("label", F.col("cls"))
+    # Leader rounds, then whatever pairs are still open. Labels only ever join what verified links join.
+    labelled, tested = live.withColumn("label", F.col("cls")), None
     for turn in range(rounds + 1):
-        # Pairs still open between components, counted on group sums.
-        label = labelled.groupBy("sig", "label").agg(F.sum(F.col("probe").cast("long")).alias("p"), F.count("*").alias("k"))
-        group = label.groupBy("sig").agg(F.sum("p").alias("p"), F.sum("k").alias("k"), F.sum(F.col("p") * F.col("k")).alias("within"), F.count("*").alias("labels"))
-        open_ = hand_over(group.where("labels > 1 and p > 0").select(F.col("sig").alias("osig"), (F.col("p") * F.col("k") - F.col("within")).alias("pairs")), "open")
-        left = open_.agg(F.sum("pairs").alias("pairs"), F.count("*").alias("n")).first()
-        if not left["pairs"]:
-            break
-        labelled = hand_over(labelled.join(open_.select("osig"), F.col("sig") == F.col("osig"), "left_semi"), "labelled")
-        members = labelled.count()
-        final = turn == rounds or left["pairs"] <= 4 * members
-        if final:
+        # Groups that still hold two labels, one of them asking. One exchange serves both aggregations.
+        open_ = labelled.repartition("sig").groupBy("sig", "label").agg(F.max("probe").alias("p")).groupBy("sig").agg(F.count("*").alias("k"), F.max("p").alias("p"))
+        open_ = open_.where("k > 1 and p").select(F.col("sig").alias("osig"))
+        labelled = hand_over(labelled.join(open_, F.col("sig") == F.col("osig"), "left_semi"), "labelled")
+        if turn == rounds:
+            size = labelled.groupBy("sig").agg(F.count("*").alias("k"), F.sum("n").alias("total")).where((F.col("k") > JOINED) | (F.col("total") > TOKENS))
+            size = hand_over(size.select(F.col("sig").alias("hsig"), F.ceil(F.greatest(F.col("k") / BLOCK, F.col("total") / TOKENS)).cast("int").alias("blocks")), "hot-groups")
+            if not size.isEmpty():
+                links = links.union(hand_over(_hot_links(labelled, size, sets), "links"))
+                labelled = labelled.join(size, F.col("sig") == F.col("hsig"), "left_anti")
             p = labelled.where("probe").select("sig", F.col("cls").alias("u"), F.col("n").alias("pn"), F.col("label").alias("pl"))
             q = labelled.select("sig", F.col("cls").alias("v"), F.col("n").alias("qn"), F.col("label").alias("ql"))
-            pairs = p.join(q, "sig").where("pl != ql and qn <= pn and 4 * qn >= 3 * pn")
-        else:
-            # Leaders: of each group the class that shares most; each class asks the leader it meets most often.
-            weight = labelled.withColumn("weight", F.count("*").over(W.partitionBy("cls")))
-            lead = weight.groupBy("sig").agg(F.max(F.struct("weight", "cls", "n", "label")).alias("l"))
-            met = labelled.join(lead, "sig").where((F.col("label") != F.col("l.label")) & _fits("n", "l.n"))
-            met = met.groupBy("cls", F.col("l.cls").alias("leader")).agg(F.count("*").alias("times"))
-            pairs = met.groupBy("cls").agg(F.max(F.struct("times", "leader")).alias("m")).select(F.col("cls").alias("u"), F.col("m.leader").alias("v"))
-        pairs = pairs.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
-        links = links.union(hand_over(_verify(pairs, sets), "links"))
-        if final:
+            pairs = p.join(q, "sig").where("pl != ql and qn <= pn and 4 * qn >= 3 * pn").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
+            links = links.union(hand_over(_verify(pairs.join(tested, ["u", "v"], "left_anti"), sets), "links"))
             break
-        roots = components(links)
-        labelled = labelled.drop("label").join(roots, F.col("cls") == F.col("node"), "left").withColumn("label", F.coalesce("root", "cls")).drop("node", "root")
-        _free(spark)
+        # Of each group the class that shares most leads; each class asks the leader it meets most often.
+        weight = labelled.withColumn("weight", F.count("*").over(W.partitionBy("cls")))
+        lead = F.max(F.struct("weight", "cls", "n", "label")).over(W.partitionBy("sig"))
+        met = weight.withColumn("l", lead).where((F.col("label") != F.col("l.label")) & _fits("n", "l.n"))
+        met = met.groupBy("cls", F.col("l.cls").alias("leader")).agg(F.count("*").alias("times"))
+        asked = met.groupBy("cls").agg(F.max(F.struct("times", "leader")).alias("m")).select(F.col("cls").alias("u"), F.col("m.leader").alias("v"))
+        asked = hand_over(asked, "asked")
+        if asked.isEmpty():
+            tested = tested if tested is not None else asked
+            continue
+        both = asked.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
+        tested = both if tested is None else tested.union(both)
+        found_links = hand_over(_verify(asked, sets), "links")
+        links = links.union(found_links)
+        # A class takes its leader's label; leaders outweigh their followers, so this can't go round in circles.
+        up = found_links.select(F.col("u").alias("node"), F.col("v").alias("root"))
+        twice = up.join(up.select(F.col("node").alias("mid"), F.col("root").alias("top")), F.col("root") == F.col("mid"), "left").select("node", F.coalesce("top", "root").alias("root"))
+        labelled = labelled.join(twice, F.col("cls") == F.col("node"), "left")
+        labelled = labelled.withColumn("label", F.coalesce("root", "label")).drop("node", "root")
     return rows, links
 
 
+def _hot_links(labelled: DataFrame, hot: DataFrame, sets: DataFrame) -> DataFrame:
+    """Links within large groups. A group is dealt into blocks, each pair of blocks is one task's unit, and a unit counts all its overlaps by matrix
+    products; it returns links that join whatever its similar pairs join (at most one per member), so no pairs travel."""
+
+    def unit(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.drop_duplicates("cls")
+        if pdf["label"].nunique() < 2:
+            return pd.DataFrame({"u": [], "v": []}, dtype="int64")
+        n, cls, probe, side = (pdf[c].to_numpy() for c in ("n", "cls", "probe", "side"))
+        members = [np.frombuffer(m, np.uint64) for m in pdf["members"]]
+        row = np.repeat(np.arange(len(members)), [len(m) for m in members])
+        _, token, count = np.unique(np.concatenate(members), return_inverse=True, return_counts=True)
+        common = count > 1
+        place = np.cumsum(common) - 1
+        keep = common[token]
+        row, token = row[keep], place[token[keep]]
+        order = np.argsort(token, kind="stable")
+        row, token = row[order], token[order]
+        both = np.zeros((len(n), len(n)), np.float32)
+        for a in range(0, int(common.sum()), 4096):
+            lo, hi = np.searchsorted(token, [a, a + 4096])
+            x = np.zeros((len(n), 4096), np.float32)
+            x[row[lo:hi], token[lo:hi] - a] = 1
+            both += x @ x.T
+        near = 100 * both >= 75 * (n[:, None] + n[None, :] - both)
+        near &= (probe[:, None] | probe[None, :]) & ((side[:, None] != side[None, :]) | (side.min() == side.max()))
+        root = {}
+
+        def top(c):
+            while (p := root.get(c, c)) != c:
+                root[c] = c = root.get(p, p)
+            return c
+
+        cls = cls.tolist()  # plain ints: they are compared with the tuples of labels
+        for c, lab in zip(cls, pdf["label"].tolist()):
+            root[top(c)] = top(("label", lab))
+        found = []
+        for i, j in zip(*np.nonzero(np.triu(near, 1))):
+            a, b = top(cls[i]), top(cls[j])
+            if a != b:
+                root[a] = b
+                found.append((max(cls[i], cls[j]), min(cls[i], cls[j])))
+        return pd.DataFrame(found, columns=["u", "v"], dtype="int64")
+
+    rows = labelled.join(hot, F.col("sig") == F.col("hsig")).groupBy("sig", "cls").agg(F.max("probe").alias("probe"), F.first("n").alias("n"), F.first("label").alias("label"), F.first("blocks").alias("blocks"))
+    rows = rows.withColumn("own", F.pmod(F.xxhash64("cls", F.lit(7)), F.col("blocks")).cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumns({"lo": F.least("own", "other"), "hi": F.greatest("own", "other"), "side": F.col("own") > F.col("other")})
+    return rows.join(sets, "cls").select("sig", "lo", "hi", "cls", "probe", "n", "label", "side", "members").groupBy("sig", "lo", "hi").applyInPandas(unit, "u long, v long").distinct()
+
+
 def _prefix_pairs(docs: DataFrame, lost: DataFrame) -> DataFrame:
     """Candidates (u, v) of sets that segments can't cover: any partner holds one of the n div 4 + 1 least shingles of the larger set."""
 
