@@ -1,12 +1,14 @@
 """Licence scans: a trained paragraph classifier. Documents are scanned with DataFrame functions only.
 
 A paragraph is a line. Features are word 1- to 3-grams that hold a trigger (a word of a licence notice that a sample of ordinary paragraphs hardly
-has), so a paragraph without triggers has no features and is unknown by the model itself. A multinomial logistic regression over the families and
+has, and of every notice its rarest words at least, so many that a paragraph that the notice could confirm holds one), so a paragraph without
+triggers has no features and is unknown by the model itself. How often a notice occurs in the documents decides nothing: the sample is of distinct paragraphs, and those
+that a notice would confirm aren't ordinary. A multinomial logistic regression over the families and
 ``unknown`` is trained on varied notices and on ordinary paragraphs (a bounded sample); a family counts
 where its probability reaches the calibrated threshold, and a comparison with the family's notices (share of the
 notice's words that stand in the paragraph) confirms it.
 
-Training runs on the driver on at most ORDINARY paragraphs of at most PARAGRAPH characters; scanning reads every paragraph of every text.
+Training runs on the driver on at most ORDINARY paragraphs, from anywhere in the documents, of at most PARAGRAPH characters; scanning reads every paragraph of every text.
 
 Defined results: null and empty texts have no paragraphs and no licence; of several licences in a document all are
 listed, the most probable is named (ties by name); repeated rows are scanned each; other columns are kept by ``scan``.
@@ -47,10 +49,19 @@ def _words(text: str) -> list[str]:
     return re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", text.lower())
 
 
+_NOTICE_WORDS = [set(_words(n)) for ns in NOTICES.values() for n in ns]
+
+
 def grams(words: list[str], triggers: set[str]) -> set[str]:
     return {" ".join(g) for n in (1, 2, 3) for i in range(len(words) - n + 1) if triggers & set(g := words[i : i + n])}
 
 
+def likeness_of(words: list[str]) -> float:
+    """The largest share of a notice's words that stand in a paragraph, as ``scan`` compares them."""
+    have = set(words)
+    return max(len(n & have) / len(n) for n in _NOTICE_WORDS)
+
+
 class LicenceModel:
     """Triggers, features, weights (feature x class) and the threshold. Bounded by the notices."""
 
@@ -58,9 +69,11 @@ class LicenceModel:
         rng = random.Random(seed)
         plain = [w for p in ordinary if (w := _words(p))]
         marked = {w for ns in NOTICES.values() for n in ns for w in _words(n)}
-        plain = [w for w in plain if not {"licensed", "license", "licence", "copyright"} & set(w)]
+        plain = [w for w in plain if not {"licensed", "license", "licence", "copyright"} & set(w) and likeness_of(w) < CONFIRM]
         often = Counter(w for p in plain for w in set(p))
         self.triggers = {w for w in marked if often[w] * 500 <= len(plain) and not w.isdigit() and len(w) > 1}
+        for n in _NOTICE_WORDS:  # a paragraph with CONFIRM of the words lacks fewer of them than are taken here
+            self.triggers |= set(sorted((w for w in n if not w.isdigit() and len(w) > 1), key=lambda w: (often[w], w))[: int((1 - CONFIRM) * len(n)) + 1])
         self.classes = [UNKNOWN, *sorted(NOTICES)]
         samples = [(w, 0) for w in plain]
         filler = [w for p in plain for w in p] or ["text"]
@@ -97,9 +110,12 @@ class LicenceModel:
 
 
 def train_on(docs: DataFrame, text: str = "text") -> LicenceModel:
-    """Learn from the notices and the paragraphs of at most ORDINARY documents (those lowest by hash of their text)."""
-    first = docs.where(F.char_length(text) > 0).select(F.substring(text, 1, PARAGRAPH).alias("t")).orderBy(F.xxhash64("t")).limit(ORDINARY)
-    return LicenceModel([p for r in first.collect() for p in r["t"].split("\n")][:ORDINARY])
+    """Learn from the notices and at most ORDINARY distinct paragraphs (those lowest by hash, wherever they stand)."""
+    lines = docs.select(F.explode(F.split(text, "\n")).alias("t")).where(F.length(F.trim("t")) > 0).select(F.substring("t", 1, PARAGRAPH).alias("t"))
+    lines = lines.withColumn("h", F.xxhash64("t"))
+    last = lines.select("h").distinct().orderBy("h").limit(ORDINARY).agg(F.max("h")).first()[0]  # hashes travel, not texts
+    first = lines.where(F.col("h") <= F.lit(last)).groupBy("h").agg(F.min("t").alias("t")).orderBy("h")
+    return LicenceModel([r["t"] for r in first.collect()])
 
 
 def scan(docs: DataFrame, model: LicenceModel, text: str = "text") -> DataFrame:

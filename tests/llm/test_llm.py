@@ -232,6 +232,23 @@ def test_licences(spark):
     assert license_scan.scan(planted.limit(0), model).count() == 0
 
 
+@pytest.mark.parametrize("family, notice", [("BSD-3-Clause", license_scan.NOTICES["BSD-3-Clause"][0]), ("MIT", license_scan.NOTICES["MIT"][2]), ("CC0-1.0", license_scan.NOTICES["CC0-1.0"][0])])
+def test_common_notices_stay_detected(spark, family, notice):
+    """A notice without the word licence that 5% of documents have, alone or amid other words, is still found in all of them."""
+    docs = documents(spark, [(i, text(60, i) + ("" if i % 20 else f"\n{notice}" if i % 40 else f"\n{text(2, i + 5000)} {notice} {text(2, i + 6000)}")) for i in range(600)])
+    got = {r.doc_id: r.licence for r in license_scan.scan(docs, license_scan.train_on(docs)).collect()}
+    assert all(got[i] == ("unknown" if i % 20 else family) for i in range(600))
+    assert license_scan.train_on(docs.limit(0)).triggers
+
+
+def test_notices_never_lose_their_triggers():
+    """Whatever is ordinary, a paragraph that a notice could confirm holds a trigger."""
+    every = [w for n in license_scan._NOTICE_WORDS for w in n]
+    model = license_scan.LicenceModel([f"{w} one two" for w in every for _ in range(9)])
+    for n in license_scan._NOTICE_WORDS:
+        assert 1 - len(n & model.triggers) / len(n) < license_scan.CONFIRM
+
+
 def test_token_counts_are_the_librarys(spark):
     import public_tokenizers
     import sentencepiece
