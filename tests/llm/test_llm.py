@@ -332,6 +332,37 @@ def test_html_differencing_and_edges(spark):
     assert html_extract.extract_text(pages.limit(0)).count() == 0
 
 
+def test_html_differencing_is_one_for_every_group_size(spark):
+    """Ranges of any size give what the walk over the whole host gives, runs of copies longer than a range included."""
+    r, rows = random.Random(8), []
+    for i in range(90):  # sections share a template; pages of one path differ by their query or have no url
+        url = r.choice((f"http://h.com/{i // 9}/{r.randrange(30)}", f"http://h.com/view?id={i}", f"http://g.org/a/{i:03}", None))
+        rows.append((i, url, page(f"<div>Section {i // 9}</div><div>{text(3, i // r.choice((1, 1, 30)))}</div><div>Foot {i % 3}</div>")))
+    rows += [(200 + i, f"http://h.com/4/{i:02}", page("<div>Section 4</div><div>copied</div>")) for i in range(25)]
+
+    def whole(pages):  # the plain walk: next to each other, the nearer side first, copies passed over
+        out = {}
+        for k, (i, path, lines) in enumerate(pages):
+            near = lambda n: len(__import__("os").path.commonprefix([path, pages[n][1]])) if 0 <= n < len(pages) else -1
+            lo, hi, partner = k - 1, k + 1, None
+            while partner is None and (lo >= 0 or hi < len(pages)):
+                n = lo if near(lo) >= near(hi) else hi
+                lo, hi = (lo - 1, hi) if n == lo else (lo, hi + 1)
+                partner = pages[n][2] if pages[n][2] != lines else None
+            gone = html_extract.common_lines(lines, partner) if partner else set()
+            out[i] = " ".join(t for j, t in enumerate(lines) if j not in gone)
+        return out
+
+    pages, want = spark.createDataFrame(rows, "page_id long, url string, html string"), {}
+    named = pages.select("page_id", html_extract.host_of(F.col("url")).alias("h"), html_extract.path_of(F.col("url")).alias("p")).collect()
+    for host in {x.h for x in named}:
+        by = {i: (u, x) for i, u, x in rows}
+        order = sorted((x.p, by[x.page_id][0] is None, by[x.page_id][0] or "", str(x.page_id), x.page_id) for x in named if x.h == host)
+        want |= whole([(i, p, html_extract.page_lines(by[i][1])[0]) for p, *_, i in order])
+    for group in (1, 4, 7, 400):
+        assert {r.page_id: r.text for r in html_extract.extract_text(pages, group=group).collect()} == want
+
+
 def test_pipeline_against_plain_stages(spark, corpus):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     kept, ids = docs, {r.doc_id for r in docs.collect()}
