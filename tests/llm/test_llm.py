@@ -300,6 +300,15 @@ def test_html_blocks():
     assert len(got("<a <a " * 20_000 + "<article>z</article>")[0]) <= 2 and got("<article>" + "<" * 30_000)[1]
 
 
+def test_html_long_attribute_values():
+    long = "<b>{'x' > 1}</b>" * 3000
+    assert html_extract.page_lines(f'<article><p data-json="{long}">kept</p><div class="ad" data-x="{long}">gone</div></article>') == (["kept"], True)
+    started = __import__("time").monotonic()
+    for odd in ("<a \"", "<a '\"", "<a \"<b '", "<a \" \"", "<a x=\"' "):
+        html_extract.page_lines("<article>" + odd * 40_000)
+    assert __import__("time").monotonic() - started < 20
+
+
 def brute_lcs(a, b):
     d = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
     for i, x in enumerate(a):
