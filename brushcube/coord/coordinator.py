@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from ..model.clause import Clause
 from ..model.dispatch import Dispatcher
-from ..model.pred import FALSE, TRUE
+from ..model.pred import FALSE, TRUE, both
 from ..model.selection import Selection
 from ..plans import compat
 from ..plans.measures import Options
@@ -98,6 +98,7 @@ class Coordinator:
                     self._gated[key] = self.cells.worth(view, clause, residual)
                 if self._gated[key] > self.gate:
                     reasons = (f"gate: about {self._gated[key]:.2f} cells a row",)
+                    pred = both(residual, clause.bin_predicate())  # the rows that cells would hold: the gate's estimate decides no answer
         if reasons:
             return direct(view, self.relations.get(view.source).df, pred), "direct", reasons
         found = self.cells.ensure(view, clause, residual)

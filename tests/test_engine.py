@@ -165,6 +165,20 @@ def test_gate_and_fallback(spark, tmp_path):
     assert coord(spark, tmp_path / "b").frame(HOUR, picked(s), s)[1:] == ("direct", ("clause: match can't be binned",))
 
 
+def test_gate_decides_no_answer(spark, tmp_path):
+    """Cells and the direct path behind the gate hold the same rows, another clause and end bins cut by the drag included."""
+    drag, other = interval("d", "value", (10.9, 90), w.VALUE), interval("u", "user_id", (0, 140), w.USERS)
+    got = []
+    for gate in (None, 0.0):
+        c = coord(spark, tmp_path / str(gate), gate=gate)
+        s = picked(other)
+        s.update(drag)
+        df, path, _ = c.frame(HOUR, s, drag)
+        got.append((path, rows_of(df)))
+        c.close()
+    assert [p for p, _ in got] == ["cells", "direct"] and got[0][1] == got[1][1]
+
+
 def test_dense_and_prefix_equal_sparse(spark, tmp_path):
     ev, c = load(spark, SF, "events"), coord(spark, tmp_path)
     keys = [Axis("x", w.HOUR, 0, 24)]
