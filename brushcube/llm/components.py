@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hand_over
+from .common import hand_over, release
 
 
 def _stars(edges: DataFrame, large: bool) -> DataFrame:
@@ -27,7 +27,8 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     pairs = hand_over(pairs, "edges")
     before = None
     for _ in range(rounds):
-        pairs = hand_over(_stars(_stars(pairs, True), False), "stars")
+        former, pairs = pairs, hand_over(_stars(_stars(pairs, True), False), "stars")
+        release(former)
         sign = pairs.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")).first()
         if (sign["n"], sign["h"]) == before:
             roots = pairs.select(F.col("u").alias("node"), F.col("v").alias("root"))

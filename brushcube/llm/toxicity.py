@@ -6,12 +6,12 @@ COARSE bytes more than the other is cut again into single words (each between fi
 short inputs compress at all) and measured again. A logistic model on the largest coarse and fine gains
 and the number of fine gains gives the score; it is calibrated on documents that the dictionaries of its fold have not seen.
 
-Learning reads only labelled rows whose crc32(doc_id) mod 5 is not 0, at most TRAIN_TOXIC and TRAIN_ORDINARY of
-them (those lowest by hash), of each text at most TRAIN_CHARS characters; near copies count once. Scoring reads
+Learning reads only labelled rows whose crc32(doc_id) mod 5 is not 0: of the TRAIN_TOXIC and TRAIN_ORDINARY lowest by
+hash those with texts of at most TRAIN_CHARS characters, which are read whole; near copies count once. Scoring reads
 every whole text, and nothing but the text.
 
 Defined results: null, empty and wordless texts get the model's score of no gain; without labels of both classes every score is 0;
-repeated rows score alike; a document with several labels counts as toxic if any says so; columns of the input are kept.
+repeated rows score alike; a null id is neither held out nor learnt from (held_out is null); a document with several labels counts as toxic if any says so; columns of the input are kept.
 """
 
 from __future__ import annotations
@@ -23,13 +23,13 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import table
 
-TRAIN_TOXIC, TRAIN_ORDINARY, TRAIN_CHARS = 1500, 4500, 20_000
+TRAIN_TOXIC, TRAIN_ORDINARY, TRAIN_CHARS = 1500, 4500, 65_536
 COMMON, MARKS, WINDOW, COARSE, FINE, STEMS = 12_000, 1_000, 6, 2, 2, (4, 5, 6)
 _WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 
@@ -161,23 +161,23 @@ def train_on(docs: DataFrame, labels: DataFrame, text: str = "text") -> Toxicity
         return ToxicityModel()
     pick = [known.where(F.col("toxic") == v).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n) for v, n in ((1, TRAIN_TOXIC), (0, TRAIN_ORDINARY))]
     chosen = F.broadcast(pick[0].unionByName(pick[1]))  # at most TRAIN_TOXIC + TRAIN_ORDINARY rows of two numbers
-    found = docs.join(chosen, "doc_id").select("toxic", F.substring(F.coalesce(text, F.lit("")), 1, TRAIN_CHARS).alias("t"), F.xxhash64("doc_id").alias("h"))
+    found = docs.join(chosen, "doc_id").select("toxic", F.coalesce(text, F.lit("")).alias("t"), F.xxhash64("doc_id").alias("h")).where(F.char_length("t") <= TRAIN_CHARS)
     # repeated ids could bring more rows than were chosen
     rows = found.orderBy("h", "t").limit(2 * (TRAIN_TOXIC + TRAIN_ORDINARY)).collect()
     return train([r["t"] for r in rows if r["toxic"] == 1], [r["t"] for r in rows if r["toxic"] == 0], counts[1] / (counts[0] + counts[1]))
 
 
 def scorer(model: ToxicityModel):
-    """A pandas UDF text -> score."""
+    """An Arrow UDF text -> score."""
     facts = (model.common, model.marks, model.weights)
 
-    @F.pandas_udf("double")
-    def score(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    @F.arrow_udf("double")
+    def score(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         m = ToxicityModel(*facts)
         if m.weights:
             m.open()
-        for s in batches:
-            yield pd.Series([m.score(t) for t in s], index=s.index, dtype="float64")
+        for texts in batches:
+            yield pa.array([m.score(t.as_py()) for t in texts], pa.float64())
 
     return score
 

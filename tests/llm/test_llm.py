@@ -89,12 +89,27 @@ def test_jaccard_against_brute_force(spark, monkeypatch, blocks):
     assert got_components(jaccard_join.jaccard_components(documents(spark, rows))) == brute_components(rows)
 
 
-def test_jaccard_without_spare_segments(spark, monkeypatch):
+def test_jaccard_without_spare_segments(spark):
     """Sets that segments can't cover go through the shared prefix."""
-    monkeypatch.setattr(jaccard_join, "segments_of", lambda ends: 2 * ends // 7 + 1)
-    monkeypatch.setattr(jaccard_join, "deletable", lambda ends, m: 0 * m)
-    rows = list(enumerate(edited(text(40, k), e, e) for k in range(6) for e in (0, 1, 2)))
-    assert got_components(jaccard_join.jaccard_components(documents(spark, rows))) == brute_components(rows)
+    tight = jaccard_join.Scheme(slack=1.0, spare=0, small=0, singles=0)
+    rows = list(enumerate(edited(text(n, 7 * k + n), e, e) for k in range(6) for n in (9, 40) for e in (0, 1, 2)))
+    docs = documents(spark, rows)
+    kinds = jaccard_join.jaccard_links(docs, scheme=tight)[1]
+    assert kinds.where("filled + spare < 2 * n div 7 + 1").count() > 0
+    assert got_components(jaccard_join.jaccard_components(docs, scheme=tight)) == brute_components(rows)
+
+
+def test_sets_with_one_half_digest_are_told_apart(spark):
+    rows = spark.createDataFrame([(5, 0, 9, 77, 1, 3, 0), (6, 0, 9, 77, 1, 3, 0), (7, 0, 9, 77, 2, 3, 0), (8, 0, 9, 78, 1, 3, 0)], "doc_id long, tag long, n long, cls long, check long, filled int, spare int")
+    got = {(r.cls, r.check): (r.id, r.doc_id) for r in jaccard_join._classes(rows).collect()}
+    assert got[77, 1] == (77, 5) and got[78, 1] == (78, 8) and got[77, 2][0] != 77 and len({i for i, _ in got.values()}) == 3
+
+
+def test_blocks_hold_runs_longer_than_two_bytes():
+    sig = np.arange(70_000, dtype=np.uint64) << np.uint64(3)
+    (part, classes, counts, hashes), = jaccard_join._pack(1, np.full(70_000, 5, np.int64), sig)
+    assert np.frombuffer(counts, "<u2").sum() == 70_000 and set(np.frombuffer(classes, np.int64)) == {5}
+    assert (jaccard_join._wide(hashes).astype(np.uint64) == sig).all()
 
 
 def test_pigeonhole_holds():
@@ -102,7 +117,7 @@ def test_pigeonhole_holds():
     r = np.random.default_rng(3)
     for n in (4, 7, 20, 90):
         ends = jaccard_join.bands(n)
-        m = jaccard_join.segments_of(ends)
+        m = jaccard_join.Scheme(singles=0).segments(ends)
         band = np.array([np.searchsorted(ends, n)])
         assert m[band[0]] >= 2 * n // 7 + 1
         for _ in range(20):
@@ -395,6 +410,18 @@ def test_pipeline_against_plain_stages(spark, corpus):
     assert all(stage(spark, docs.limit(0), SF).count() == 0 for _, stage in corpus_pipeline.STAGES)
 
 
+def test_pipeline_tells_rows_of_one_id_apart(spark):
+    a, b, c = text(40, 71), text(40, 72), text(40, 73)
+    ids = lambda rows: sorted(((r.doc_id, r.text) for r in corpus_pipeline.jaccard_stage(spark, documents(spark, rows), SF).collect()), key=str)
+    assert ids([(1, a), (7, a), (7, b)]) == [(1, a), (7, b)]
+    assert ids([(5, a), (5, b), (6, edited(a, 1, 1)), (6, c)]) == sorted([(5, a), (5, b), (6, c)], key=str)
+    assert ids([(3, a), (3, a), (None, b), (None, b), (None, c), (4, None), (4, None)]) == sorted([(3, a), (None, b), (None, c), (4, None), (4, None)], key=str)
+    item = spark.read.parquet(f"{SF}/benchmark.parquet").first()["text"]
+    odd = documents(spark, [(1, item), (1, a), (None, item), (None, c)]).withColumn("dirty_id", F.lit(1)).withColumn("told_id", F.lit(1))
+    left = corpus_pipeline.decontamination_stage(spark, corpus_pipeline.jaccard_stage(spark, odd, SF), SF)
+    assert sorted((r.text for r in left.collect())) == sorted([a, c]) and "told_id" in left.columns
+
+
 def test_registry_is_whole():
     assert [k for k in registry.queries()][:10] == [k for k in registry._MODULES] and "pipeline" in registry.queries()
     assert duckdb.__version__ and len(registry._MODULES) == 10
