@@ -20,26 +20,33 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def jaccard_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of similar documents the one with the smallest id stays; of repeated ids in a group, one row. Rows without an id stay if no group names them."""
-    groups = jaccard_join.jaccard_components(docs.select("doc_id", "text"))
-    kept = groups.where("doc_id <=> component_id").select(F.col("doc_id").alias("kept_id")).distinct()
-    out = docs.join(kept, F.col("doc_id").eqNullSafe(F.col("kept_id")), "left_semi")
-    repeated = docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 and doc_id is not null")
-    if repeated.isEmpty():
+    """Of each group of similar documents one row stays: that with the smallest id (nulls last), of equal ids that whose text has the smallest hash,
+    of equal rows any. Rows are told apart by id and text, so a repeated id with unlike texts loses neither. Null and wordless texts are in no group and stay."""
+    tag = F.xxhash64("text")
+    rows = jaccard_join.jaccard_components(docs.select("doc_id", "text"), tag).where("group is not null")
+    rows = hand_over(rows.groupBy("group", "doc_id", "tag").agg(F.count("*").alias("__copies")), "groups")
+    first = rows.groupBy("group").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unknown"), "doc_id", "tag")).alias("f"))
+    first = first.select(F.col("group").alias("of"), F.col("f.doc_id").alias("first_id"), F.col("f.tag").alias("first_tag"))
+    same = F.col("doc_id").eqNullSafe(F.col("first_id")) & (F.col("tag") == F.col("first_tag"))
+    told = rows.join(first, F.col("group") == F.col("of")).select(F.col("doc_id").alias("__told_id"), F.col("tag").alias("__told_tag"), same.alias("__stays"), "__copies")
+    found = F.col("doc_id").eqNullSafe(F.col("__told_id")) & (tag == F.col("__told_tag"))
+    out = docs.join(told.where("not __stays"), found, "left_anti")
+    twice = told.where("__stays and __copies > 1")
+    if twice.isEmpty():
         return out
-    once = out.join(repeated, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
-    return out.join(repeated, "doc_id", "left_anti").select(*docs.columns).unionByName(once)
+    once = out.join(twice, found, "left_semi").withColumn("__tag", tag).dropDuplicates(["doc_id", "__tag"]).drop("__tag")
+    return out.join(twice, found, "left_anti").unionByName(once)
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents contaminated by benchmark items go."""
-    found = decontaminate.decontaminate(docs.select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
-    dirty = found.where("contaminated").select(F.col("doc_id").alias("dirty_id")).distinct()
-    return docs.join(dirty, F.col("doc_id").eqNullSafe(F.col("dirty_id")), "left_anti")
+    """Documents contaminated by benchmark items go. Null and empty texts have no words and stay; of repeated ids each row is judged by its own text; without items, or documents, nothing goes."""
+    found = decontaminate.decontaminate(docs.select("doc_id", "text", F.xxhash64("text").alias("tag")), table(spark, sf_dir, "benchmark"))
+    dirty = found.where("contaminated").select(F.col("doc_id").alias("__dirty_id"), F.col("tag").alias("__dirty_tag")).distinct()
+    return docs.join(dirty, F.col("doc_id").eqNullSafe(F.col("__dirty_id")) & (F.xxhash64("text") == F.col("__dirty_tag")), "left_anti")
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents that the mix takes, with their copies, words taken and their source's target."""
+    """The documents that the mix takes, with their copies, words taken and their source's target. Null texts have size 0; a null source is a source; rows with one id and source are taken together; no documents make an empty mix."""
     return mixing.mix(docs).where("copies > 0")
 
 
