@@ -14,7 +14,7 @@ from ..model.pred import both, to_duck
 from ..model.scales import Scale
 from ..model.selection import Selection
 from ..plans import compat, measures
-from ..sources.store import SALES_WIDE, load
+from ..sources.store import SALES_WIDE, load, shared_root
 from ..views import templates as t
 from ..views.spec import Agg, ViewSpec
 from . import workloads as w
@@ -245,7 +245,7 @@ def view_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     total = cells.groupBy("user_id", "x").agg(F.sum("k").alias("t"))
     norm = cells.join(total, ["user_id", "x"]).withColumn("share", F.col("k") / F.col("t"))
     coord = coordinator(spark, sf_dir)
-    coord.relation("line_cells", norm, "lines")
+    coord.relation("line_cells", norm)
     view = ViewSpec("lines", "line_cells", (("x", "x"), ("y", "y")), (Agg("w", "sum", ("share",)),), True, inner_keys=("user_id", "x", "y"))
     sel = Selection()
     sel.update(point("who", "user_id", list(range(0, 40))))
@@ -322,8 +322,7 @@ def stream_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     from ..streaming.maintain import LiveCells
 
-    root = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
-    folder = f"{root.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    folder = f"{shared_root(spark)}/stream-{uuid.uuid4().hex}"
     events = load(spark, sf_dir, "events")
     events.repartition(4).write.parquet(f"{folder}/in")
     live = LiveCells(spark, folder, _hours(), _brush())
@@ -332,6 +331,40 @@ def stream_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
     return live.answer(_brush())
 
 
+def cache_race(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """An older event that is answered after a newer clause arrived, then the newer one: each by its own clause, the cache included."""
+    coord, sel, view, frames = coordinator(spark, sf_dir), Selection(), _hours(), []
+    coord.views[view.id] = (view, sel)
+    older, newer = _brush(30, 90), _brush(200, 400)
+    sel.update(older)
+    state = sel.freeze(older)
+    sel.update(newer)
+    for name, got in (("older", coord.query(view.id, older, state)), ("newer", coord.query(view.id, newer)), ("cached", coord.query(view.id, newer))):
+        frames.append(spark.createDataFrame(got).select(F.lit(name).alias("event"), "x", "y"))
+    coord.close()
+    return frames[0].unionByName(frames[1]).unionByName(frames[2])
+
+
+def snapshot_plan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One name and the same files, read with another filter, and from a frame of the session: cells of one are never taken for the other's."""
+    coord, out = coordinator(spark, sf_dir), None
+    ev = load(spark, sf_dir, "events")
+    for kind in ("view", "click"):
+        for relation in (ev.where(F.col("event_type") == kind), spark.createDataFrame(ev.where(F.col("event_type") == kind).toArrow())):
+            coord.relation("events", relation)
+            got = coord.frame(_hours(), sel := _sel(_brush()), sel.active)[0].select(F.lit(kind).alias("kind"), "x", "y")
+            out = got if out is None else out.unionByName(got)
+    return out
+
+
+def gate_estimate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The gate's estimate of cells per row lies within a tenth of the truth."""
+    coord = coordinator(spark, sf_dir)
+    found = coord.cells.worth(w.item_views()["quantity"], _brush(22000, 66000, w.PRICE, "l_extendedprice"))
+    exact = load(spark, sf_dir, "lineitem").selectExpr("floor(l_quantity / 5D) AS q", f"{w.PRICE.bin_sql('l_extendedprice')} AS p").agg(F.count_distinct("q", "p") / F.count("*")).first()[0]
+    return spark.range(1).select(F.lit(abs(found - exact) <= 0.1 * exact).alias("near"), F.lit(found < 0.5).alias("worth"))
+
+
 def highlight(spark: SparkSession, sf_dir: str) -> DataFrame:
     c = interval_nd("region", ("p_size", "p_retailprice"), ((10, 30), (920, 960)), (w.SIZE, w.RETAIL))
     return load(spark, sf_dir, "part").select("p_partkey", c.predicate.column().alias("selected"))
@@ -375,6 +408,10 @@ def other() -> dict[str, tuple[Callable, str | None]]:
         "consolidated": (consolidated_query, f"SELECT l_returnflag AS flag, count(*) AS n, round(avg(l_quantity), 6) AS mean FROM lineitem WHERE {_P} GROUP BY 1"),
         "grouping_sets": (grouping_sets_query, "SELECT l_returnflag AS value, 0::INTEGER AS view, count(*) AS n FROM lineitem GROUP BY 1 UNION ALL SELECT l_linestatus, 1, count(*) FROM lineitem GROUP BY 1"),
         "sql_view": (sql_view_query, "SELECT l_returnflag AS flag, count(*) AS n, round(avg(l_quantity), 6) AS m FROM lineitem WHERE l_tax > 0 AND CAST(floor(CAST(600.0 AS DOUBLE) * (l_extendedprice - 0) / CAST(110000.0 AS DOUBLE)) AS BIGINT) BETWEEN 120 AND 360 GROUP BY 1"),
+        "cache_race": (cache_race, f"WITH e AS (SELECT {w.HOUR} AS x, floor(value) AS v FROM events), n AS (SELECT x, count(*) AS y FROM e WHERE v BETWEEN 200 AND 400 GROUP BY 1) "
+                       "SELECT 'older' AS event, x, count(*) AS y FROM e WHERE v BETWEEN 30 AND 90 GROUP BY 2 UNION ALL SELECT 'newer', x, y FROM n UNION ALL SELECT 'cached', x, y FROM n"),
+        "snapshot_plan": (snapshot_plan, f"SELECT event_type AS kind, {w.HOUR} AS x, count(*) AS y FROM events, range(2) WHERE event_type IN ('view', 'click') AND floor(value) BETWEEN 30 AND 90 GROUP BY 1, 2, range"),
+        "gate_estimate": (gate_estimate, "SELECT true AS near, count(DISTINCT (floor(l_quantity / 5), floor(600 * l_extendedprice / 110000))) / count(*) < 0.5 AS worth FROM lineitem"),
         "w6_highlight": (highlight, "SELECT p_partkey, p_size BETWEEN 10 AND 30 AND p_retailprice BETWEEN 920 AND 960 AS selected FROM part"),
         "view_windowed": (windowed, "SELECT event_id, user_id, gap FROM (SELECT *, round(value - lag(value) OVER (PARTITION BY user_id ORDER BY ts, event_id), 6) AS gap FROM events) WHERE gap > 300"),
         "sketch_hll": (sketch("approx_distinct"), None), "sketch_theta": (sketch("theta_distinct"), None), "sketch_kll": (sketch("kll_median"), None), "sketch_bitmap": (sketch("bitmap_distinct"), "SELECT l_returnflag AS flag, count(DISTINCT l_linenumber) AS v FROM lineitem WHERE CAST(floor(CAST(600.0 AS DOUBLE) * l_quantity / CAST(50.0 AS DOUBLE)) AS BIGINT) BETWEEN 120 AND 240 GROUP BY 1"),

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import time
+from collections import deque
 from collections.abc import Callable
 from concurrent.futures import Future, ThreadPoolExecutor
 from dataclasses import dataclass, field
@@ -14,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from ..model.clause import Clause
 from ..model.dispatch import Dispatcher
-from ..model.pred import FALSE, TRUE, both
+from ..model.pred import FALSE, TRUE, Pred, both
 from ..model.selection import Selection
 from ..plans import compat
 from ..plans.measures import Options
@@ -25,6 +26,10 @@ from ..views.sqlview import sql_view
 from .cache import ResultCache
 
 
+#: Events that the log keeps, and gate estimates.
+LOG = 10_000
+
+
 @dataclass
 class Event:
     """What happened to a view on an update: how it was answered, why, and how long it took."""
@@ -33,6 +38,7 @@ class Event:
     path: str
     reasons: tuple[str, ...] = ()
     ms: float = 0.0
+    merged: str = ""  # where cells were merged: process or spark
     at: float = field(default_factory=time.time)
 
 
@@ -47,7 +53,7 @@ class Coordinator:
         self.views: dict[str, tuple[ViewSpec, Selection]] = {}
         self.plain: dict[str, tuple[DataFrame, list[str]]] = {}
         self.results: dict[str, pa.Table] = {}
-        self.log: list[Event] = []
+        self.log: deque[Event] = deque(maxlen=LOG)
         self._handlers: dict[str, Callable[[str, pa.Table], None]] = {}
         self._pool = ThreadPoolExecutor(threads, "brushcube-view")
         self._background = ThreadPoolExecutor(2, "brushcube-prefetch")
@@ -66,9 +72,10 @@ class Coordinator:
         if deliver:
             self._handlers[view.id] = deliver
         if id(selection) not in self._dispatchers:
-            d = Dispatcher(lambda e, s=selection: self.on_update(s, e))
+            d = Dispatcher(lambda state, s=selection: self.on_update(s, state.active, state))
             self._dispatchers[id(selection)] = d
-            selection.listen(lambda kind, clause, s=selection, d=d: d.send(clause) if kind == "update" else self.on_activate(s, clause))
+            # an event is the selection as its clause made it: what waits or is in flight isn't touched by newer clauses
+            selection.listen(lambda kind, clause, s=selection, d=d: d.send(s.freeze(clause)) if kind == "update" else self.on_activate(s, clause))
 
     def sql(self, id: str, text: str, selection: Selection, filter_stable: bool = False, args: dict | None = None) -> list[str]:
         """Connect a view given as SQL. Returns why it can't be optimised (nothing if it can)."""
@@ -83,8 +90,16 @@ class Coordinator:
     # -- answering --------------------------------------------------------------------------------------------------
     def frame(self, view: ViewSpec, selection: Selection, clause: Clause | None, snapped: bool = False) -> tuple[DataFrame, str, tuple[str, ...]]:
         """(answer, path, reasons): from cells if that is sound, else the filtered query. ``snapped`` has the fallback filter at bin resolution too."""
-        pred = selection.predicate(view.id, snapped)
-        verdict = compat.check(selection, clause, view) if clause is not None else compat.Verdict(("no active clause",))
+        reasons, pred, residual = self._decide(view, selection, clause, snapped)
+        if reasons:
+            return direct(view, self.relations.get(view.source).df, pred), "direct", reasons
+        return self.cells.answer(self.cells.ensure(view, clause, residual), view, clause), "cells", ()
+
+    def _decide(self, view: ViewSpec, selection: Selection, clause: Clause | None, snapped: bool = False) -> tuple[tuple[str, ...], Pred, Pred]:
+        """Why cells can't answer (nothing if they can), the predicate of the direct query, and the other clauses' predicate."""
+        residual, pred = TRUE, selection.predicate(view.id, snapped)
+        dynamic = tuple(c.predicate.sql() for c in selection.clauses() if not c.cleared)
+        verdict = compat.check(selection, clause, view, dynamic) if clause is not None else compat.Verdict(("no active clause",))
         reasons = verdict.reasons if self.optimise else ("optimisation off",)
         if not reasons and pred == FALSE:
             reasons = ("empty selection",)
@@ -95,27 +110,31 @@ class Coordinator:
             if self.gate is not None:
                 key = f"{view.id}|{clause.meta}|{residual.sql()}"
                 if key not in self._gated:
+                    if len(self._gated) >= LOG:
+                        self._gated.clear()
                     self._gated[key] = self.cells.worth(view, clause, residual)
                 if self._gated[key] > self.gate:
                     reasons = (f"gate: about {self._gated[key]:.2f} cells a row",)
                     pred = both(residual, clause.bin_predicate())  # the rows that cells would hold: the gate's estimate decides no answer
-        if reasons:
-            return direct(view, self.relations.get(view.source).df, pred), "direct", reasons
-        found = self.cells.ensure(view, clause, residual)
-        return self.cells.answer(found, view, clause), "cells", ()
+        return reasons, pred, residual
 
-    def query(self, view_id: str, clause: Clause | None = None) -> pa.Table:
+    def query(self, view_id: str, clause: Clause | None = None, state: Selection | None = None) -> pa.Table:
+        """``state``: the frozen selection to answer by; key, residual and bins all come from it."""
         view, selection = self.views[view_id]
-        clause = clause or selection.active
+        selection = state or selection.freeze(clause)
+        clause = selection.active
         began = time.time()
         key = self._key(view, selection)
         if (hit := self.cache.get(key)) is not None:
-            out, path, reasons = hit, "cache", ()
+            out, path, reasons, merged = hit, "cache", (), ""
         else:
-            df, path, reasons = self.frame(view, selection, clause)
-            out = df.toArrow()
+            reasons, pred, residual = self._decide(view, selection, clause)
+            if reasons:
+                path, merged, out = "direct", "", direct(view, self.relations.get(view.source).df, pred).toArrow()
+            else:
+                path, (out, merged) = "cells", self.cells.merged(self.cells.ensure(view, clause, residual), view, clause)
             self.cache.put(key, out)
-        self.log.append(Event(view_id, path, reasons, 1000 * (time.time() - began)))
+        self.log.append(Event(view_id, path, reasons, 1000 * (time.time() - began), merged))
         self.results[view_id] = out
         if view_id in self._handlers:
             self._handlers[view_id](view_id, out)
@@ -124,13 +143,14 @@ class Coordinator:
     def _key(self, view: ViewSpec, selection: Selection) -> str:
         r = self.relations.get(view.source)
         active = selection.active
-        return hashlib.sha256(repr((view, r.snapshot, selection.predicate(view.id).sql(), selection.predicate(view.id, True).sql(), active and (active.source, active.meta))).encode()).hexdigest()
+        return hashlib.sha256(repr((view, r.snapshot, selection.predicate(view.id).sql(), selection.predicate(view.id, True).sql(), active and (active.source, active.meta, active.bin_predicate().sql() if active.meta and active.meta.scales else ""))).encode()).hexdigest()
 
     def affected(self, selection: Selection, clause: Clause) -> list[str]:
         return [v for v, (_, s) in self.views.items() if s is selection and not (s.cross and v in clause.views)]
 
-    def on_update(self, selection: Selection, clause: Clause) -> list[Future]:
-        return [self._pool.submit(inheritable_thread_target(self.spark)(self.query), v, clause) for v in self.affected(selection, clause)]
+    def on_update(self, selection: Selection, clause: Clause, state: Selection | None = None) -> list[Future]:
+        state = state or selection.freeze(clause)
+        return [self._pool.submit(inheritable_thread_target(self.spark)(self.query), v, clause, state) for v in self.affected(selection, clause)]
 
     # -- ahead of time ----------------------------------------------------------------------------------------------
     def on_activate(self, selection: Selection, example: Clause) -> list[Future]:

@@ -1,7 +1,7 @@
 """Scales from data to pixels, and bins of pixels: the resolution at which a drag can differ.
 
 Everything is SQL text over doubles, evaluated by Spark for data and for endpoints alike, so that both fall into bins by
-the same arithmetic. ``Scale.forward`` is the Python twin for dense tiles and drawing.
+the same arithmetic. A value on the edge of two bins is in the one that this arithmetic names: of a logarithm the last bit decides. ``Scale.forward`` is the Python twin for dense tiles and drawing.
 """
 
 from __future__ import annotations

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import threading
 from collections.abc import Callable
 
 from .clause import Clause
@@ -17,6 +18,7 @@ class Selection:
             raise ValueError((resolve, empty))
         self.resolve, self.cross, self.empty = resolve, cross, empty
         self._own: dict[str, Clause] = {}
+        self._lock = threading.RLock()
         self.active: Clause | None = None
         self._listeners: list[Callable[[str, Clause], None]] = []
         self._downstream: list[Selection] = []
@@ -37,23 +39,33 @@ class Selection:
             below._take(c)
 
     def _take(self, clause: Clause) -> None:
-        self._own.pop(clause.source, None)  # a source's former clause goes, the new one is the newest
-        if self.resolve == "last":
-            self._own.clear()
-        self._own[clause.source] = clause
-        self.active = clause
+        with self._lock:
+            self._own.pop(clause.source, None)  # a source's former clause goes, the new one is the newest
+            if self.resolve == "last":
+                self._own.clear()
+            self._own[clause.source] = clause
+            self.active = clause
 
     def clauses(self) -> list[Clause]:
-        return list(self._own.values())
+        with self._lock:
+            return list(self._own.values())
+
+    def freeze(self, active: Clause | None = None) -> Selection:
+        """The selection as it is now, which later updates don't change: what an event in flight is answered by. ``active``: its clause, if not the newest."""
+        out = Selection(self.resolve, self.cross, self.empty)
+        with self._lock:
+            out._own, out.active = dict(self._own), active or self.active
+        return out
 
     def listen(self, handler: Callable[[str, Clause], None]) -> None:
         self._listeners.append(handler)
 
     def update(self, clause: Clause) -> None:
         """Replace the source's clause, make it active, and tell listeners and downstream selections."""
-        self._take(clause)
-        for h in self._listeners:
-            h("update", clause)
+        with self._lock:  # listeners see the selection as this clause made it
+            self._take(clause)
+            for h in self._listeners:
+                h("update", clause)
         for s in self._downstream:
             s.update(clause)
 

@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..sources.store import load
+from ..sources.store import load, shared_root
 
 
 # -- operators Spark lacks ------------------------------------------------------------------------------------------------
@@ -54,7 +54,7 @@ def _scan(kind: str) -> Callable:
         src = load(spark, sf_dir, "region")
         if kind == "parquet":
             return src
-        root = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
+        root = shared_root(spark)
         path = f"{root.rstrip('/')}/scan-{kind}-{uuid.uuid4().hex}"
         src.write.format(kind).save(path)
         return spark.read.schema(src.schema).format(kind).load(path)

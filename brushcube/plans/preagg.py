@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import threading
+from collections import OrderedDict
 from dataclasses import dataclass, field
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -12,11 +14,13 @@ from ..model.clause import Clause
 from ..model.pred import TRUE, Pred
 from ..sources.store import Relations, Store
 from ..views.spec import ViewSpec
-from . import measures
+from . import local, measures
 from .measures import MeasurePlan, Options
 
 #: Up to so many cells, an answer reads one cached partition: no exchange in the update query.
 ONE_PARTITION = 1_000_000
+#: Pre-aggregates that a session holds open (the least recently used close), and centres that it remembers.
+OPEN, CENTRES = 64, 1000
 
 
 @dataclass
@@ -30,6 +34,9 @@ class Cells:
     plan: MeasurePlan
     rows: int
     warm: bool = False
+    bytes: int = 0
+    near: local.LocalCells | None = None  # the cells in this process, once an update has asked for them
+    far: bool = False  # they can't be merged here
     facts: dict = field(default_factory=dict)
 
 
@@ -42,9 +49,10 @@ def dimensions(view: ViewSpec, clause: Clause) -> list[tuple[str, str]]:
 class PreAggregator:
     def __init__(self, spark: SparkSession, relations: Relations, store: Store, options: Options = Options(), gate: float | None = None):
         self.spark, self.relations, self.store, self.options, self.gate = spark, relations, store, options, gate
-        self._open: dict[str, Cells] = {}
+        self._open: OrderedDict[str, Cells] = OrderedDict()
         self._centres: dict[tuple, dict[str, float]] = {}
         self._guard = threading.Lock()
+        self._names: OrderedDict[tuple, str] = OrderedDict()
 
     # -- definition -------------------------------------------------------------------------------------------------
     def centres(self, view: ViewSpec, residual: Pred) -> dict[str, float]:
@@ -57,6 +65,8 @@ class PreAggregator:
         r = self.relations.get(view.source)
         key = (r.name, r.snapshot, residual.sql(), view.derive, tuple(inputs), mode)
         if key not in self._centres:
+            if len(self._centres) >= CENTRES:
+                self._centres.clear()
             rows = view.steps(r.df).where(residual.column())
             if mode == "sample":
                 rows = rows.sample(0.01, 42)
@@ -81,12 +91,23 @@ class PreAggregator:
 
     def ensure(self, view: ViewSpec, clause: Clause, residual: Pred = TRUE) -> Cells:
         """The cells, found by name in this session, in the store, or built. Concurrent callers share one build."""
+        r = self.relations.get(view.source)
+        asked = (view, clause.meta, residual.sql(), r.name, r.snapshot)
+        with self._guard:
+            if (found := self._open.get(self._names.get(asked, ""))) is not None:
+                self._open.move_to_end(found.name)
+                self.store.hits += 1
+                return found
         centres = self.centres(view, residual)
         plan = measures.plan(view.aggs, centres, self.options)
         name = self.store.fingerprint(self.definition(view, clause, residual, centres, plan))
         with self.store.lock(name):
             if (found := self._open.get(name)) is not None:
                 self.store.hits += 1
+                with self._guard:
+                    if name in self._open:
+                        self._open.move_to_end(name)
+                        self._names[asked] = name
                 return found
             if self.store.exists(name):
                 self.store.hits += 1
@@ -97,13 +118,19 @@ class PreAggregator:
             if rows <= ONE_PARTITION:
                 df = df.coalesce(1).cache()
             dims = [a for a, _ in dimensions(view, clause)]
-            cells = Cells(name, df, dims[: len(view.group)], dims[len(view.group):], plan, rows, rows <= ONE_PARTITION, self.store.facts(name))
-            self._open[name] = cells
+            cells = Cells(name, df, dims[: len(view.group)], dims[len(view.group):], plan, rows, rows <= ONE_PARTITION, self.store.size_bytes(name), facts=self.store.facts(name))
+            with self._guard:
+                self._open[name], self._names[asked] = cells, name
+                while len(self._names) > 16 * OPEN:
+                    self._names.popitem(last=False)
+                while len(self._open) > OPEN:
+                    self._open.popitem(last=False)[1].df.unpersist()
             return cells
 
-    def worth(self, view: ViewSpec, clause: Clause, residual: Pred = TRUE, share: float = 0.01) -> float:
-        """Estimated cells per row, on a sample: near 1 where a pre-aggregate doesn't shrink anything."""
-        rows = view.steps(self.relations.get(view.source).df).where(residual.column()).sample(share, 7)
+    def worth(self, view: ViewSpec, clause: Clause, residual: Pred = TRUE) -> float:
+        """Estimated cells per row: near 1 where a pre-aggregate doesn't shrink anything. A distinct count by sketch over all rows, since the distinct share
+        of a sample says little about that of the table (rows rarely meet in a sample)."""
+        rows = view.steps(self.relations.get(view.source).df).where(residual.column())
         got = rows.agg(F.approx_count_distinct(F.struct(*[F.expr(s).alias(a) for a, s in dimensions(view, clause)])).alias("d"), F.count("*").alias("n")).first()
         return got["d"] / got["n"] if got["n"] else 1.0
 
@@ -116,6 +143,17 @@ class PreAggregator:
         merged = df.groupBy(*cells.keys).agg(*(cells.plan.merge.values() or [F.count(F.lit(1)).alias("m_rows")]))
         return view.after(merged.select(*cells.keys, *cells.plan.read.values()))
 
+    def merged(self, cells: Cells, view: ViewSpec, clause: Clause) -> tuple[pa.Table, str]:
+        """(answer, where it was merged): in this process if the cells are within ``local``'s bounds and its terms, else by Spark."""
+        if not cells.far and cells.rows <= local.LOCAL_ROWS and cells.bytes <= local.LOCAL_BYTES and local.fits(view, clause):
+            with self.store.lock(f"{cells.name}|{view}"):
+                if cells.near is None:
+                    cells.near = local.fetch(cells.df, cells.keys, cells.active, cells.plan, view)
+                    cells.far = cells.near is None
+            if cells.near is not None:
+                return local.answer(cells.near, view, clause), "process"
+        return self.answer(cells, view, clause).toArrow(), "spark"
+
     def forget(self) -> None:
         for c in self._open.values():
             c.df.unpersist()

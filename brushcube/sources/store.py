@@ -38,18 +38,42 @@ def _fs(spark: SparkSession, path: str):
     return p.getFileSystem(spark._jsc.hadoopConfiguration()), p
 
 
+def shared_root(spark: SparkSession) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir, else, where both are one process, a new local one."""
+    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not found and spark.sparkContext.master.split("[")[0] == "local":
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="brushcube-"))
+        found = spark.sparkContext.getCheckpointDir()
+    if not found:
+        raise ValueError("spark.checkpoint.dir names no shared folder")
+    return found.rstrip("/")
+
+
+def _leaves(plan) -> list[str]:
+    found, it = [], plan.collectLeaves().iterator()
+    while it.hasNext():
+        found.append(it.next().getClass().getSimpleName())
+    return found
+
+
 def snapshot_of(df: DataFrame) -> str:
-    """Changes when a file of the relation does: names, sizes and times, asked of the file system that holds them."""
+    """Changes when the relation does: its analysed plan, and names, sizes and times of its files, asked of the file system that holds them.
+    What a plan's text doesn't tell (data of the session, Python functions) is never taken for equal: such a frame gets a name of its own."""
     spark = df.sparkSession
+    plan = df._jdf.queryExecution().analyzed().canonicalized()
+    text = plan.treeString(True, False, 2**31 - 1, False, False)  # all fields of every node
     files, seen = sorted(df.inputFiles()), []
+    if any(x not in ("LogicalRelation", "HiveTableRelation", "Range", "OneRowRelation") for x in _leaves(plan)) or "python" in text.lower() or "pandas" in text.lower():
+        return "frame-" + uuid.uuid4().hex[:16]
     if not files:
-        return "plan-" + hashlib.sha256(df._jdf.queryExecution().analyzed().canonicalized().toString().encode()).hexdigest()[:16]
+        return "plan-" + hashlib.sha256(text.encode()).hexdigest()[:16]
     for folder in sorted({f.rpartition("/")[0] for f in files}):
         fs, p = _fs(spark, folder.replace("%20", " "))
         for s in fs.listStatus(p):
             seen.append((s.getPath().toString(), s.getLen(), s.getModificationTime()))
     wanted = {f.rpartition("/")[2] for f in files}
-    return hashlib.sha256(json.dumps(sorted(x for x in seen if x[0].rpartition("/")[2] in wanted)).encode()).hexdigest()[:16]
+    facts = [text, *sorted(x for x in seen if x[0].rpartition("/")[2] in wanted)]
+    return hashlib.sha256(json.dumps(facts).encode()).hexdigest()[:16]
 
 
 class Relations:
@@ -74,7 +98,7 @@ class Store:
 
     def __init__(self, spark: SparkSession, root: str | None = None):
         self.spark = spark
-        root = root or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="brushcube-store-")
+        root = root or shared_root(spark)
         self.root = f"{root.rstrip('/')}/cells"
         self.builds = self.hits = 0
         self._locks: dict[str, threading.Lock] = {}

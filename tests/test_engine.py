@@ -15,6 +15,7 @@ from brushcube.coord.coordinator import Coordinator
 from brushcube.metrics import measures as M
 from brushcube.model.clause import clear, interval, interval_nd, match, point
 from brushcube.model.pred import Constant
+from brushcube.model.scales import Scale
 from brushcube.model.selection import Selection
 from brushcube.operators.baselines import Axis, DenseTile, OverBudget, PrefixTile, cube_baseline, runtime_side
 from brushcube.plans import measures
@@ -258,3 +259,73 @@ def test_plans_push_down_and_stay_native(spark, tmp_path):
     cells = c.cells.ensure(HOUR, DRAG)
     assert cells.warm and "Exchange" not in c.cells.answer(cells, HOUR, DRAG)._jdf.queryExecution().executedPlan().toString()
     assert Constant(True).sql() == "TRUE"
+
+
+def _table(t):
+    return sorted((tuple(round(x, 6) if isinstance(x, float) else x for x in r.values()) for r in t.to_pylist()), key=str)
+
+
+@pytest.mark.parametrize("name", ["w1_hour", "w1_value", "w1l_quantity", "w2_hist", "w3_colour", "w4_ci", "w5_fit", "clause_point1", "bin_ceil", "bin_reversed", "bin_halfopen", "mv_cleared", "cross_intersect",
+                                  "agg_corr", "agg_stddev_samp", "agg_covar_samp", "agg_regr_r2", "agg_geomean", "agg_max", "agg_filter", "view_summary", "scale_log", "agg_product", "agg_having"])
+def test_merging_in_the_process_equals_spark(spark, name):
+    case = R.view_cases()[name]
+    sel, c = case.selection(), R.coordinator(spark, SF)
+    cells = c.cells.ensure(case.view, sel.active, sel.residual(case.view.id, sel.active))
+    got, where = c.cells.merged(cells, case.view, sel.active)
+    assert where == ("spark" if name in ("scale_log", "agg_product", "agg_having") else "process")
+    assert got.column_names == c.cells.answer(cells, case.view, sel.active).columns
+    assert _table(got) == _table(c.cells.answer(cells, case.view, sel.active).toArrow())
+
+
+def test_merging_in_the_process_of_nothing_and_nulls(spark, tmp_path):
+    c, none = coord(spark, tmp_path), interval("drag", "value", (550, 599), w.VALUE)
+    total = ViewSpec("total", "events", (), (Agg("n", "count"), Agg("m", "avg", ("value",)), Agg("lo", "min", ("value",)), Agg("sd", "stddev_samp", ("value",))), True)
+    for view in (total, replace(HOUR, id="h2")):
+        cells = c.cells.ensure(view, none)
+        got, where = c.cells.merged(cells, view, none)
+        assert where == "process" and _table(got) == _table(c.cells.answer(cells, view, none).toArrow())
+    odd = spark.range(40).selectExpr("if(id % 5 = 0, null, id % 3) AS k", "if(id % 4 = 0, null, double(id)) AS v", "if(id % 7 = 0, null, double(id * id)) AS y", "if(id % 6 = 0, null, double(id)) AS x")
+    c.relation("odd", odd)
+    view = ViewSpec("odd", "odd", (("k", "k"),), (Agg("n", "count", ("v",)), Agg("s", "sum", ("v",)), Agg("a", "avg", ("v",)), Agg("b", "max", ("v",)), Agg("r", "regr_slope", ("y", "v")), Agg("c", "corr", ("y", "v"))), True)
+    for ends in ((0, 40), (3, 9), (30, 31)):
+        clause = interval("d", "x", ends, Scale("linear", (0, 40), (0, 40)))
+        cells = c.cells.ensure(view, clause)
+        got, where = c.cells.merged(cells, view, clause)
+        assert where == "process" and _table(got) == _table(c.cells.answer(cells, view, clause).toArrow())
+
+
+def test_an_event_in_flight_keeps_its_clauses(spark, tmp_path):
+    c, s = coord(spark, tmp_path), Selection()
+    c.views["hour"] = (HOUR, s)
+    older, newer = DRAG, interval("drag", "value", (200, 400), w.VALUE)
+    truth = {k.values: sum(r["y"] for r in c.frame(HOUR, picked(k), k)[0].collect()) for k in (older, newer)}
+    s.update(older)
+    state = s.freeze(older)
+    s.update(newer)
+    assert sum(c.query("hour", older, state).column("y").to_pylist()) == truth[older.values]
+    assert sum(c.query("hour", newer).column("y").to_pylist()) == truth[newer.values]
+    assert c.log[-1].path == "cells" and c.query("hour", newer) and c.log[-1].path == "cache"
+
+
+def test_other_rows_under_one_name_get_other_cells(spark, tmp_path):
+    c, ev = coord(spark, tmp_path), load(spark, SF, "events")
+    for rows in (ev, ev.where("event_type = 'view'"), spark.createDataFrame([(1.0, 50.0)], "user_id double, value double").selectExpr("*", "timestamp_ntz'2020-01-01 03:00:00' AS ts"),
+                 spark.createDataFrame([(1.0, 60.0), (2.0, 61.0)], "user_id double, value double").selectExpr("*", "timestamp_ntz'2020-01-01 03:00:00' AS ts")):
+        c.relation("events", rows)
+        assert sum(r["y"] for r in c.frame(HOUR, picked(DRAG), DRAG)[0].collect()) == rows.where("floor(value) BETWEEN 30 AND 90").count()
+
+
+def test_sessions_hold_a_bounded_number_of_cells(spark, tmp_path, monkeypatch):
+    from brushcube.plans import preagg
+
+    monkeypatch.setattr(preagg, "OPEN", 2)
+    c = coord(spark, tmp_path)
+    for k in range(4):
+        c.cells.ensure(replace(HOUR, id=f"h{k}", aggs=(Agg("y", "sum", (str(k),)),)), DRAG)
+    assert len(c.cells._open) == 2 and c.cells.ensure(replace(HOUR, id="h0", aggs=(Agg("y", "sum", ("0",)),)), DRAG).rows > 0
+
+
+def test_no_filter_may_hold_a_selections_predicate(spark, tmp_path):
+    c, s = coord(spark, tmp_path), picked(DRAG)
+    inside = replace(HOUR, id="own", aggs=(Agg("y", "count", where=DRAG.predicate.sql()),))
+    assert c.frame(inside, s, DRAG)[1:] == ("direct", ("filter: holds a selection's predicate",))

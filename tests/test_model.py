@@ -1,5 +1,6 @@
 """Scales and bins, predicates, resolvers, dispatch, compatibility: no Spark jobs but where bins are evaluated."""
 
+import math
 import threading
 import time
 from concurrent.futures import Future
@@ -36,8 +37,17 @@ def test_bins_agree_with_the_driver_twin(spark, rule, step):
 
 def test_bins_of_nulls_and_outside(spark):
     s = Scale("log", (1, 100), (0, 100))
-    df = spark.createDataFrame([(None,), (0.0,), (-1.0,), (1000.0,)], "x double")
-    assert [r[0] for r in df.selectExpr(s.bin_sql("x")).collect()] == [None, None, None, 150]
+    df = spark.createDataFrame([(None,), (0.0,), (-1.0,), (900.0,)], "x double")
+    assert [r[0] for r in df.selectExpr(s.bin_sql("x")).collect()] == [None, None, None, 147]
+
+
+@pytest.mark.parametrize("x", [10.0, 1000.0])
+def test_edges_of_bins_fall_alike_for_data_and_endpoints(spark, x):
+    """On an edge the last bit of the logarithm decides: either bin may hold it, but data and endpoints go the same way."""
+    s = Scale("log", (1, 100), (0, 100))
+    edge = round(s.bins() * math.log(x) / math.log(100))
+    data, end = spark.createDataFrame([(x,)], "x double").selectExpr(s.bin_sql("x"), s.bin_sql(f"{x}D")).first()
+    assert data == end and data in (edge - 1, edge)
 
 
 @given(st.sampled_from(SCALES[:4]), st.integers(1, 299))
@@ -159,7 +169,7 @@ def test_compatibility_names_each_reason():
     assert "distinct" in _why(replace(HOUR, aggs=(Agg("n", "count", ("x",), distinct=True),)))[0]
     assert "unsupported" in _why(replace(HOUR, aggs=(Agg("n", "median", ("x",)),)))[0]
     assert "inner" in _why(replace(HOUR, inner_keys=("user_id",)))[0] and "inner" in _why(replace(HOUR, opaque="Window"))[0]
-    assert "aggregation" in _why(t.scatter("s", "events", "a", "b"))[0]
+    assert any("aggregation" in x for x in _why(t.scatter("s", "events", "a", "b")))
     assert "filter" in check(Selection(), interval("d", "value", (30, 90), w.VALUE), replace(HOUR, aggs=(Agg("n", "count", where="dyn > 1"),)), ("dyn > 1",)).reasons[0]
     assert "domain" in str(check(None, interval("d", "value", (30, 90), Scale("linear", (1, 1), (0, 2))), HOUR).reasons)
 
