@@ -1,18 +1,18 @@
 """Document fingerprints: threshold-scaled sketches. DataFrame functions only.
 
-A fingerprint keeps every 5-word shingle hash below a fixed fraction of the hash range (1/8), so sketches of unequal
-documents are samples by one rule: they merge by union and give containment as well as likeness. Documents with
-at most SMALL shingles keep all hashes (fraction 1); against a thinned sketch they are thinned by the same rule first.
+A fingerprint keeps every 5-word shingle hash below a fixed fraction of the hash range (1/SCALE), of documents of any length, so sketches of unequal
+documents are samples by one rule: they merge by union and give containment as well as likeness.
 
-The string is ``<scale>:<hash>,<hash>,...``: 1 or 8, and hexadecimal hashes in ascending order.
+The string is ``<scale>:<hash>,<hash>,...`` with hexadecimal hashes in ascending order; a text without words has ``0:``.
 
-Defined results: a null text is an empty one; a text of fewer than five words is one shingle, one without words has an
-empty sketch; two empty sketches are alike (1.0) if the texts have no words at all, an empty and another are not (0.0); repeated rows stand in
-the order next to each other (ties of the id by text) and each is edited by its neighbour; a null id comes last in the descending
-order; extra columns of the input are not read.
+Defined results: a null text is an empty one; a text of fewer than five words is one shingle. Two texts without words are alike (1.0). Where no hash of
+either text was kept and one of them has words, nothing is known of them and the likeness is 0.0 (short texts; expected of a share of (1 - 1/SCALE)^n of
+those with n shingles). Repeated rows stand in the order next to each other (ties of the id by text) and each is edited by its neighbour; a null id comes last in the descending
+order; ids are numbers; extra columns of the input are not read.
 
 The next document is found without ordering all rows in one task: ids fall into ranges of about RANGE rows, each is
-ordered on its own, and a copy of the first row of each range stands as a guest behind the range above it.
+ordered on its own, and a copy of the first row of each range stands as a guest behind the range above it. Ids may be spread unevenly: a range of
+equal width that holds too many rows is cut again between its own least and greatest ids, LEVELS times.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 
 from .common import SPACED_WORD, table, words_of
 
-SHINGLE, SCALE, SMALL, RANGE = 5, 8, 64, 4096
+SHINGLE, SCALE, RANGE, LEVELS = 5, 4, 4096, 4
 #: Ranges' first ids (three numbers each) are broadcast up to so many ranges; beyond, Spark joins by shuffling.
 BROADCAST_HEADS = 100_000
 
@@ -34,16 +34,12 @@ def kept(h: Column, scale: int = SCALE) -> Column:
 
 
 def sketch(words: Column, size: int = SHINGLE, scale: int = SCALE) -> Column:
-    """Sorted distinct hashes of the shingles of a word array; thinned if there are more than SMALL."""
+    """Sorted distinct hashes of the shingles of a word array that lie below the threshold."""
     n = F.size(words)
     grams = F.transform(F.sequence(F.lit(0), n - size), lambda i: F.xxhash64(*[words[i + k] for k in range(size)]))
     whole = F.array(F.xxhash64(F.array_join(words, " ")))
     every = F.when(n >= size, grams).when(n > 0, whole).otherwise(F.array().cast("array<bigint>"))
-    return F.array_sort(F.array_distinct(every))
-
-
-def thin(hashes: Column, small: int = SMALL, scale: int = SCALE) -> Column:
-    return F.when(F.size(hashes) <= small, hashes).otherwise(F.filter(hashes, lambda h: kept(h, scale)))
+    return F.array_sort(F.array_distinct(F.filter(every, lambda h: kept(h, scale)) if scale > 1 else every))
 
 
 def text_of(scale: Column, hashes: Column) -> Column:
@@ -51,40 +47,47 @@ def text_of(scale: Column, hashes: Column) -> Column:
 
 
 def likeness(a: Column, a_scale: Column, b: Column, b_scale: Column) -> Column:
-    """Jaccard estimate of two sketches at their common scale."""
-    same = a_scale == b_scale
-    x = F.when(same | (a_scale > 1), a).otherwise(F.filter(a, lambda h: kept(h)))
-    y = F.when(same | (b_scale > 1), b).otherwise(F.filter(b, lambda h: kept(h)))
-    union = F.size(F.array_union(x, y))
-    return F.when(union > 0, F.size(F.array_intersect(x, y)) / union).otherwise(F.when((F.size(a) == 0) & (F.size(b) == 0), 1.0).otherwise(0.0))
+    """Jaccard estimate of two sketches."""
+    union = F.size(F.array_union(a, b))
+    return F.when(union > 0, F.size(F.array_intersect(a, b)) / union).otherwise(F.when((a_scale == 0) & (b_scale == 0), 1.0).otherwise(0.0))
 
 
-def containment(a: Column, a_scale: Column, b: Column, b_scale: Column) -> Column:
-    """Share of a's shingles that b has, estimated at their common scale."""
-    same = a_scale == b_scale
-    x = F.when(same | (a_scale > 1), a).otherwise(F.filter(a, lambda h: kept(h)))
-    y = F.when(same | (b_scale > 1), b).otherwise(F.filter(b, lambda h: kept(h)))
-    return F.when(F.size(x) > 0, F.size(F.array_intersect(x, y)) / F.size(x)).otherwise(0.0)
+def containment(a: Column, b: Column) -> Column:
+    """Share of a's shingles that b has, estimated."""
+    return F.when(F.size(a) > 0, F.size(F.array_intersect(a, b)) / F.size(a)).otherwise(0.0)
 
 
-def add_fingerprint(df: DataFrame, text: Column, prefix: str) -> DataFrame:
-    """``<prefix>hashes`` (array) and ``<prefix>scale`` of a text column, each made once per row."""
+def add_fingerprint(df: DataFrame, text: Column, prefix: str, scale: int = SCALE) -> DataFrame:
+    """``<prefix>hashes`` (array) and ``<prefix>scale`` (0 of texts without words) of a text column, each made once per row."""
     df = df.withColumn("fp_words", words_of(F.lower(text), SPACED_WORD))
-    df = df.withColumn("fp_all", sketch(F.col("fp_words"))).drop("fp_words")
-    return df.withColumns({f"{prefix}scale": F.when(F.size("fp_all") <= SMALL, 1).otherwise(SCALE), f"{prefix}hashes": thin(F.col("fp_all"))}).drop("fp_all")
+    return df.withColumns({f"{prefix}scale": F.when(F.size("fp_words") > 0, scale).otherwise(0), f"{prefix}hashes": sketch(F.col("fp_words"), scale=scale)}).drop("fp_words")
+
+
+def _width(lo: Column, hi: Column, n: Column) -> Column:
+    return F.greatest(F.lit(1), F.ceil((hi - lo + 1) * RANGE / n)).cast("double")
 
 
 def in_ranges(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``docs`` with span and guest: each range of ids, and behind it (guest) a copy of the first row of the range below."""
-    edge = docs.agg(F.min(doc_id).alias("lo"), F.max(doc_id).alias("hi"), F.count("*").alias("n")).first()
-    lo, hi = (edge["lo"] or 0), (edge["hi"] or 0)
-    width = max(1, -(-(hi - lo + 1) * RANGE // max(1, edge["n"])))
-    span = F.coalesce(F.floor((F.col(doc_id) - F.lit(lo)) / F.lit(width)), F.lit(-1)).cast("long")
-    rows = docs.select(doc_id, text, span.alias("span"))
+    """``docs`` with span and guest: each range of ids, and behind it (guest) a copy of the first row of the range below. Spans are arrays of LEVELS numbers, in the order of ids."""
+    ids = docs.select(F.col(doc_id).cast("double").alias("id"))
+    edge = ids.agg(F.min("id").alias("lo"), F.max("id").alias("hi"), F.count("*").alias("n")).first()
+    lo, hi, n = edge["lo"] or 0.0, edge["hi"] or 0.0, max(1, edge["n"])
+    here = lambda id, lo, width: F.coalesce(F.floor((id - lo) / width), F.lit(-1)).cast("long")
+    first = here(F.col(doc_id).cast("double"), F.lit(lo), _width(F.lit(lo), F.lit(hi), F.lit(n)))
+    rows, deep = docs.select(doc_id, text, F.array(first).alias("span")), ids.select("id", F.array(here(F.col("id"), F.lit(lo), _width(F.lit(lo), F.lit(hi), F.lit(n)))).alias("span"))
+    for _ in range(1, LEVELS):  # ids only; a few numbers per overfull range
+        full = deep.groupBy("span").agg(F.min("id").alias("lo"), F.max("id").alias("hi"), F.count("*").alias("n")).where((F.col("n") > 4 * RANGE) & (F.col("hi") > F.col("lo")))
+        full = full.select(F.col("span").alias("of"), F.col("lo"), _width(F.col("lo"), F.col("hi"), F.col("n")).alias("width"))
+        cuts = full.limit(BROADCAST_HEADS + 1).collect()
+        finer = lambda df, id: df.join(full if len(cuts) > BROADCAST_HEADS else F.broadcast(full), F.col("span") == F.col("of"), "left").withColumn(  # noqa: B023, E731
+            "span", F.concat("span", F.array(F.when(F.col("of").isNull(), 0).otherwise(here(id, F.col("lo"), F.col("width")))))).drop("of", "lo", "width")
+        if not cuts:
+            break
+        rows, deep = finer(rows, F.col(doc_id).cast("double")), finer(deep, F.col("id"))
     heads = rows.groupBy("span").agg(F.max(doc_id).alias("head_id"))
     turn = W.orderBy(F.col("span").desc())  # one row per range of about RANGE documents
     heads = heads.withColumns({"head_span": F.col("span"), "upper": F.coalesce(F.lag("span").over(turn), F.min("span").over(W.partitionBy()))}).drop("span")
-    if (hi - lo) // width + 2 <= BROADCAST_HEADS:  # no more spans than that
+    if n // RANGE * 4 + 2 <= BROADCAST_HEADS:
         heads = F.broadcast(heads)
     found = rows.join(heads, F.col("span").eqNullSafe(F.col("head_span")) & F.col(doc_id).eqNullSafe(F.col("head_id")))
     guests = found.groupBy("upper", doc_id).agg(F.max(text).alias(text)).select(doc_id, text, F.col("upper").alias("span"), F.lit(True).alias("guest"))
