@@ -2,7 +2,8 @@
 
 A window is 13 consecutive words of an item (all its words, if it has fewer but not none). A window can occur in a document only
 if its rarest word does: words are ordered by rarity, that one word is the window's prefix, and only document
-words that are some window's prefix become candidates. A candidate carries its neighbourhood, joins the windows
+words that may be some window's prefix become candidates (a filter of FILTER_BITS tells, whatever the number of items; it never leaves one out,
+and what it lets through in vain meets no window). A candidate carries its neighbourhood, joins the windows
 on the prefix word, passes length and positional bounds (the window must lie inside the document) and is
 then compared word for word. The hit positions of a document are the union of its occurrences.
 
@@ -15,15 +16,17 @@ are kept (but for the operator's own names). Documents are never grouped by cont
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from collections.abc import Callable
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import LETTER_WORD, ascii_lower, table, words_of
 
 WINDOW = 13
-#: Up to so many distinct prefix words, documents are filtered by them before the join (a set lookup per word).
-PREFIX_WORDS = 100_000
+#: Log2 of the bits of the filter of prefix words: 128 KB, whatever the items.
+FILTER_BITS = 20
 #: Windows are broadcast up to so many rows (about 150 bytes each); beyond, both sides are shuffled.
 BROADCAST_WINDOWS = 100_000
 
@@ -42,21 +45,31 @@ def item_windows(items: DataFrame, item_id: str = "item_id", text: str = "text",
     return out.select("win_words", F.size("win_words").alias("win_size"), "prefix", F.array_position("win_words", F.col("prefix")).cast("int").alias("offset"), "items")
 
 
+def _place(word: Column) -> Column:
+    return F.shiftrightunsigned(F.xxhash64(word), 64 - FILTER_BITS)
+
+
+def prefix_filter(windows: DataFrame) -> Callable[[Column], Column]:
+    """word -> whether it may be a prefix. The bits are one literal of 64-bit numbers, of fixed size: subqueries can't stand in functions over arrays."""
+    p = windows.select(_place(F.col("prefix")).alias("p"))
+    words = p.groupBy(F.shiftright("p", 6).alias("id")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p % 64 as int))")).alias("b"))
+    numbers = ["0"] * (1 << (FILTER_BITS - 6))
+    for r in words.collect():  # at most one row a number
+        numbers[r["id"]] = str(r["b"])
+    bits = F.split(F.lit(",".join(numbers)), ",").cast("array<bigint>")  # folded to a literal array by the optimiser
+    return lambda w: F.getbit(F.get(bits, F.shiftright(_place(w), 6).cast("int")), (_place(w) % 64).cast("int")) == 1
+
+
 def occurrences(docs: DataFrame, windows: DataFrame, text: str = "text", width: int = WINDOW) -> DataFrame:
     """One row per document row: the kept columns, n_words, places (start, size, items of each occurrence)."""
-    spark = docs.sparkSession
-    prefixes = windows.select("prefix").distinct().limit(PREFIX_WORDS + 1).collect()
     small = windows.limit(BROADCAST_WINDOWS + 1).count() <= BROADCAST_WINDOWS
     keep = [c for c in docs.columns if c != text]
     # not one projection: the word array is an input of the next, so it is made once per row
     rows = docs.select(F.monotonically_increasing_id().alias("row_no"), *keep, words_of(ascii_lower(F.col(text)), LETTER_WORD).alias("doc_words"))
-    listed = [r["prefix"] for r in prefixes]
-    wanted = (lambda w: w.isin(listed)) if len(listed) <= PREFIX_WORDS else (lambda w: F.lit(True))
+    wanted = prefix_filter(windows)
     near = lambda i: F.struct(  # noqa: E731  1-based place, where the cut-out begins, and the cut-out
         (i + 1).alias("at"), F.greatest(i + 2 - width, F.lit(1)).alias("from"), F.slice(F.col("doc_words"), F.greatest(i + 2 - width, F.lit(1)), F.lit(2 * width - 1)).alias("around"))
     cands = F.array_compact(F.transform("doc_words", lambda w, i: F.when(wanted(w), near(i))))
-    if not listed:
-        cands = F.array().cast("array<struct<at:int,from:int,around:array<string>>>")
     rows = rows.select("row_no", *keep, F.size("doc_words").cast("long").alias("n_words"), cands.alias("cands"))
     found = rows.select("row_no", "n_words", *keep, F.explode_outer("cands").alias("c"))
     found = found.withColumn("token", F.element_at("c.around", F.col("c.at") - F.col("c.from") + 1))

@@ -208,12 +208,34 @@ def test_fingerprints_against_plain(spark):
     assert fingerprint.fingerprints(docs.limit(0)).count() == 0
 
 
+def test_fingerprints_of_uneven_ids(spark, monkeypatch):
+    """Ids in clumps, one far off: ranges stay small, and each document meets the next."""
+    monkeypatch.setattr(fingerprint, "RANGE", 2)
+    ids = [*range(40), 10**6, 10**6 + 1, *range(10**9, 10**9 + 30), 10**12]
+    docs = documents(spark, [(i, f"text {i}") for i in ids])
+    assert {(r.doc_id, r.next_text) for r in fingerprint.fingerprints(docs).collect()} == {(a, f"text {b}") for a, b in zip(ids, [ids[-1], *ids[:-1]])}
+    spans = fingerprint.in_ranges(docs.select("doc_id", "text")).where("not guest").groupBy("span").count()
+    assert spans.agg(F.max("count")).first()[0] <= 4 * fingerprint.RANGE
+
+
+def test_sketches_of_any_length_have_one_threshold(spark):
+    """No size changes the rule, and two empty sketches of texts with words aren't alike."""
+    texts = [text(n, n) for n in (6, 60, 63, 64, 65, 68, 69, 70, 300)]
+    df = fingerprint.add_fingerprint(documents(spark, list(enumerate(texts))), F.col("text"), "x_")
+    for r in df.collect():
+        assert r.x_scale == fingerprint.SCALE and all(h % 2**64 < 2**64 // fingerprint.SCALE for h in r.x_hashes)
+    lone = [t for t in (text(5, 1000 + k) for k in range(12))]
+    pairs = fingerprint.add_fingerprint(documents(spark, list(enumerate(lone))), F.col("text"), "x_").where("size(x_hashes) = 0")
+    two = pairs.limit(1).selectExpr("x_hashes", "x_scale").crossJoin(pairs.limit(1).selectExpr("x_hashes AS y_hashes", "x_scale AS y_scale"))
+    assert two.select(fingerprint.likeness(*[F.col(c) for c in ("x_hashes", "x_scale", "y_hashes", "y_scale")])).first()[0] == 0.0
+
+
 def test_containment_of_unequal_sketches(spark):
     whole = text(4000, 9)
     part = " ".join(whole.split()[:400])
     df = spark.createDataFrame([(whole, part)], "a string, b string")
     df = fingerprint.add_fingerprint(fingerprint.add_fingerprint(df, F.col("a"), "x_"), F.col("b"), "y_")
-    r = df.select(fingerprint.containment(*[F.col(c) for c in ("y_hashes", "y_scale", "x_hashes", "x_scale")]).alias("c"), fingerprint.likeness(*[F.col(c) for c in ("x_hashes", "x_scale", "y_hashes", "y_scale")]).alias("l")).first()
+    r = df.select(fingerprint.containment(*[F.col(c) for c in ("y_hashes", "x_hashes")]).alias("c"), fingerprint.likeness(*[F.col(c) for c in ("x_hashes", "x_scale", "y_hashes", "y_scale")]).alias("l")).first()
     assert r.c == 1.0 and 0.05 < r.l < 0.17
 
 
@@ -227,12 +249,12 @@ def test_decontamination_edges(spark):
     assert by[(1, 33)] == (30, 2, True, ["10", "9"]) and by[(2, 12)][0] == 0 and by[(3, 0)][2] is False and by[(4, 0)][0] == 0
     assert by[(5, 414)] == (14, 2, False, ["10", "9"]) and by[(6, 2)] == (2, 1, True, ["2"]) and by[(7, 4)][0] == 2 and by[(1, 2)][0] == 0 and len(got) == 8
     assert decontaminate.decontaminate(docs.select("doc_id", "text"), items.limit(0)).where("n_hit > 0").count() == 0
-    big = decontaminate.PREFIX_WORDS
+    big, bits = decontaminate.BROADCAST_WINDOWS, decontaminate.FILTER_BITS
     try:
-        decontaminate.PREFIX_WORDS = decontaminate.BROADCAST_WINDOWS = 1  # both sides shuffled, no filter by prefix words
+        decontaminate.BROADCAST_WINDOWS, decontaminate.FILTER_BITS = 1, 7  # both sides shuffled, a filter that lets much through
         again = decontaminate.decontaminate(docs.select("doc_id", "text"), items).collect()
     finally:
-        decontaminate.PREFIX_WORDS = decontaminate.BROADCAST_WINDOWS = big
+        decontaminate.BROADCAST_WINDOWS, decontaminate.FILTER_BITS = big, bits
     assert sorted((r.doc_id, r.n_words, r.n_hit) for r in again) == sorted((r.doc_id, r.n_words, r.n_hit) for r in got)
 
 
