@@ -23,7 +23,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import LETTER_WORD, table, words_of
+from .common import LETTER_WORD, hand_over, table, words_of
 
 #: Short notices by which works name their licence, by family.
 NOTICES = {
@@ -129,7 +129,7 @@ def scan(docs: DataFrame, model: LicenceModel, text: str = "text") -> DataFrame:
     split = F.transform("paragraphs", lambda p, i: F.struct(i.alias("no"), words_of(p, LETTER_WORD).alias("w")))
     hot = F.filter(split, lambda s: F.exists(s["w"], lambda w: w.isin(triggers)))
     count = F.size(F.filter("paragraphs", lambda p: F.length(F.trim(p)) > 0)).cast("long")
-    rows = rows.select("row_no", *keep, count.alias("n_paragraphs"), hot.alias("hot"))
+    rows = hand_over(rows.select("row_no", *keep, count.alias("n_paragraphs"), hot.alias("hot")), "paragraphs")  # written once: row numbers of two evaluations need not agree
     spread = rows.select("row_no", *keep, "n_paragraphs", F.explode_outer("hot").alias("h"))
 
     # Distinct n-grams of the few paragraphs with triggers, against the weights (a table bounded by the notices).

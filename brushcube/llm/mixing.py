@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import SPACED_WORD, hand_over, table
+from .common import SPACED_WORD, hand_over, release, table
 
 #: Repeating weights of the contract, the mix's size against the corpus and the most copies of a source.
 WEIGHTS, SHARE, CAP = (3, 1, 2), 1.5, 2.0
@@ -97,7 +97,9 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str
     docs = docs.drop(*[c for c in own if c in docs.columns])
     key = F.md5(F.coalesce(F.col(doc_id).cast("string"), F.lit("")))
     seen = docs.select(F.col(source).alias("source"), word_count(F.col(text)).alias("size"), key.alias("key"), uniform(F.coalesce(F.col(doc_id).cast("string"), F.lit(""))).alias("u"))
-    plan = hand_over(sampling_plan(hand_over(seen, "mix-sizes"), weights, share, cap), "mix-plan")
+    sizes = hand_over(seen, "mix-sizes")
+    plan = hand_over(sampling_plan(sizes, weights, share, cap), "mix-plan")
+    release(sizes)
     tag = {"size": word_count(F.col(text)), "mix_key": key, "mix_u": uniform(F.coalesce(F.col(doc_id).cast("string"), F.lit("")))}
     out = docs.withColumns(tag).join(plan, F.col(source).eqNullSafe(F.col("plan_source")))
     here = F.struct(rank(F.col("mix_u"), F.col("pi")).alias("q"), F.col("mix_key").alias("key"))
