@@ -26,7 +26,8 @@ def jaccard_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     rows = jaccard_join.jaccard_components(docs.select("doc_id", "text"), tag).where("group is not null")
     rows = hand_over(rows.groupBy("group", "doc_id", "tag").agg(F.count("*").alias("__copies")), "groups")
     first = rows.groupBy("group").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unknown"), "doc_id", "tag")).alias("f"))
-    first = first.select(F.col("group").alias("of"), F.col("f.doc_id").alias("first_id"), F.col("f.tag").alias("first_tag"))
+    # handed over: a join whose side isn't summed in the same stage can be split where a group is large
+    first = hand_over(first.select(F.col("group").alias("of"), F.col("f.doc_id").alias("first_id"), F.col("f.tag").alias("first_tag")), "first-rows")
     same = F.col("doc_id").eqNullSafe(F.col("first_id")) & (F.col("tag") == F.col("first_tag"))
     told = rows.join(first, F.col("group") == F.col("of")).select(F.col("doc_id").alias("__told_id"), F.col("tag").alias("__told_tag"), same.alias("__stays"), "__copies")
     found = F.col("doc_id").eqNullSafe(F.col("__told_id")) & (tag == F.col("__told_tag"))
