@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..coord.coordinator import Coordinator
 from ..model.clause import Clause, clear, interval, interval_nd, match, point, slider
+from ..model.interactors import Hover, Legend
 from ..model.pred import both, to_duck
 from ..model.scales import Scale
 from ..model.selection import Selection
@@ -18,10 +19,15 @@ from ..sources.store import SALES_WIDE, load, shared_root
 from ..views import templates as t
 from ..views.spec import Agg, ViewSpec
 from . import workloads as w
+from .oracles import by_hand
 
 TABLES = ("lineitem", "orders", "customer", "part", "supplier", "nation", "region", "events", "embeddings", "documents", "pages", "labels")
 
 
+#: Decimals that are compared, where sums are large: 1e12 and more leave a double no reliable second decimal.
+DIGITS = {"regr_syy": 0, "regr_sxy": 2, "covar_samp": 2, "covar_pop": 2, "regr_sxx": 2}
+
+
 def coordinator(spark: SparkSession, sf_dir: str, **options) -> Coordinator:
     c = Coordinator(spark, **options)
     for name in (*TABLES, "sales_wide"):
@@ -78,14 +84,17 @@ class Case:
             raise AssertionError(f"{self.view.id} was answered by {path}: {reasons}")
         return tidy(df, self.digits)
 
-    def sql(self) -> str:
+    def sql(self, text: str | None = None) -> str:
+        """The oracle's SQL: ``text``, if it was written by hand, else from the view and the clauses."""
+        names = list(self.view.columns) or [a for a, _ in self.view.group] + [a.alias for a in self.view.aggs] + [a for a, _ in self.view.post]
+        if text:
+            return tidy_sql(text, [(c, c in self.doubles) for c in names], self.digits)
         sel = self.selection()
         if self.path == "cells":
             pred = both(sel.residual(self.view.id, sel.active), sel.active.bin_predicate())
         else:
             pred = sel.predicate(self.view.id)
         q = self.view.duck(pred, SALES_WIDE if self.view.source == "sales_wide" else None)
-        names = list(self.view.columns) or [a for a, _ in self.view.group] + [a.alias for a in self.view.aggs] + [a for a, _ in self.view.post]
         return tidy_sql(q, [(c, c in self.doubles) for c in names], self.digits)
 
 
@@ -141,7 +150,7 @@ def view_cases() -> dict[str, Case]:
     for fn in measures.FUNCTIONS:
         a = args.get(fn) or ((p, q) if measures.FUNCTIONS[fn] == 2 else (q,))
         v = ViewSpec(f"agg_{fn}", "lineitem", (("flag", "l_returnflag"),), (Agg("v", fn, a),), True)
-        out[f"agg_{fn}"] = Case(v, (price,), doubles=() if fn in exact else ("v",), digits=2 if fn in ("regr_sxy", "regr_syy", "covar_samp", "covar_pop", "regr_sxx") else 6)
+        out[f"agg_{fn}"] = Case(v, (price,), doubles=() if fn in exact else ("v",), digits=DIGITS.get(fn, 6))
     by = lambda id, *aggs, **k: ViewSpec(id, "lineitem", (("flag", "l_returnflag"),), aggs, True, **k)
     out["agg_filter"] = Case(by("agg_filter", Agg("n", "count", where="l_tax > CAST(0.04 AS DOUBLE)"), Agg("s", "avg", (q,), "l_linestatus = 'O'")), (price,), doubles=("s",))
     out["agg_having"] = Case(ViewSpec("agg_having", "lineitem", (("size", "l_quantity"),), (Agg("n", "count"),), True, having="n > 100", order=("n DESC", "size"), limit=20), (price,), doubles=("size",))
@@ -168,6 +177,12 @@ def view_cases() -> dict[str, Case]:
     out["w3_sky"] = Case(sv["sky"], (interval("h4", e[4], (-0.1, 0.1), w.DIM_600),))
     out["w3_colour"] = Case(sv["colour"], (sky,))
     out["w3_hist"] = Case(sv["h4"], (sky,), doubles=("x",))
+    stars = interval_nd("sky", (w.DAY, "o_totalprice"), ((9700, 10100), (100000, 200000)), (w.DAY_X, w.TOTAL_Y))
+    cat = w.catalogue_views()
+    out["w3c_sky"] = Case(cat["sky"], (interval("balance", "c_acctbal", (2000, 6000), w.BALANCE),))
+    out["w3c_colour"] = Case(cat["colour"], (stars,))
+    out["w3c_balance"] = Case(cat["balance"], (stars,), doubles=("x",))
+    out["w3c_discount"] = Case(cat["discount"], (stars,), doubles=("x",))
     out["w4_ci"] = Case(t.mean_ci("w4", "events", "event_type", "value"), (slider("slide", w.MINUTE, 720, w.MINUTES),), doubles=("mean", "sd", "lo", "hi"))
     out["w5_fit"] = Case(replace(t.regression("w5", "orders", "o_totalprice", w.DAY), columns=("n", "slope", "r2", "avgx", "avgy")), (interval("days", w.DAY, (9131 + 200 * 2469 / 600 + 1, 9131 + 319 * 2469 / 600 + 1), w.DAY_600),), doubles=("slope", "r2", "avgx", "avgy"), digits=5)
     promo = point("type", "p_type", ["PROMO"])
@@ -177,6 +192,8 @@ def view_cases() -> dict[str, Case]:
     out["w6_marginal_x"] = Case(mx, (promo, region))
     out["w6_marginal_y"] = Case(my, (region,))
     out["w6_brands"] = Case(ViewSpec("w6b", "part", (("p_brand", "p_brand"),), (Agg("n", "count"),), True, order=("n DESC", "p_brand"), limit=10), (promo,))
+    out["w6_legend"] = Case(brands, (Legend("legend", column="p_type").emit(["PROMO", "ECONOMY"]),))
+    out["w6_hover"] = Case(ViewSpec("w6h", "part", (("p_type", "p_type"),), (Agg("n", "count"),), True), (Hover("hover", columns=("p_brand", "p_size")).emit(("Brand#8", 10)),))
     out["w6_scatter"] = Case(t.scatter("w6s", "part", "p_size", "p_retailprice", "p_partkey"), (promo, region), path="direct", doubles=("y",))
     out["w6_table"] = Case(t.table_window("w6t", "part", ("p_partkey", "p_brand", "p_retailprice"), ("p_retailprice DESC", "p_partkey"), 20, 15), (promo,), path="direct", doubles=("p_retailprice",))
     out["w7_search"] = Case(ViewSpec("w7", "documents", (("lang", "lang"),), (Agg("n", "count"), Agg("chars", "sum", ("n_chars",))), True), (match("find", "text", "Licensed", "contains"),), path="direct", doubles=("chars",))
@@ -427,4 +444,5 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     from ..operators import relational
 
-    return {k: c.sql() for k, c in view_cases().items()} | {k: to_duck(s) if "unix_" in s else s for k, (_, s) in other().items() if s} | relational.oracle_sql()
+    own = by_hand()
+    return {k: c.sql(own.get(k)) for k, c in view_cases().items()} | {k: to_duck(s) if "unix_" in s else s for k, (_, s) in other().items() if s} | relational.oracle_sql()

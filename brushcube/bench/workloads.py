@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from ..functions.safe import epoch_days
 from ..model.clause import Clause, interval, interval_nd, slider
@@ -64,7 +64,14 @@ def sky_views(source: str = "embeddings") -> dict[str, ViewSpec]:
     return {"sky": t.raster("sky", source, e[0], e[1], DIM_X, DIM_Y), "colour": t.raster("colour", source, e[2], e[3], DIM_X, DIM_Y), "h4": t.histogram("h4", source, e[4], 0.02), "h5": t.histogram("h5", source, e[5], 0.02)}
 
 
-def pairs(templates: tuple[str, ...] = ("w1", "w1l", "w2", "w3", "w4", "w5")) -> list[Pair]:
+def catalogue_views(source: str = "sales_wide") -> dict[str, ViewSpec]:
+    """The star catalogue on the larger table: two rasters, two histograms."""
+    m = map_views(source)
+    return {"sky": replace(m["pickup"], id="c_sky"), "colour": replace(m["dropoff"], id="c_colour"), "balance": t.histogram("c_balance", source, "c_acctbal", 500),
+            "discount": ViewSpec("c_discount", source, (("x", "l_discount"),), (Agg("y", "count"),), True)}
+
+
+def pairs(templates: tuple[str, ...] = ("w1", "w1l", "w2", "w3", "w3c", "w4", "w5")) -> list[Pair]:
     """All (active interactor, view) pairs of the templates."""
     out: list[Pair] = []
 
@@ -80,6 +87,8 @@ def pairs(templates: tuple[str, ...] = ("w1", "w1l", "w2", "w3", "w4", "w5")) ->
     if "w3" in templates:
         e = [f"embedding[{i}]" for i in range(6)]
         crossed("w3", sky_views(), {"sky": ((e[0], e[1]), (DIM_X, DIM_Y)), "colour": ((e[2], e[3]), (DIM_X, DIM_Y)), "h4": ((e[4],), (DIM_600,)), "h5": ((e[5],), (DIM_600,))})
+    if "w3c" in templates:
+        crossed("w3c", catalogue_views(), {"sky": ((DAY, "o_totalprice"), (DAY_X, TOTAL_Y)), "colour": ((SHIP, "l_extendedprice"), (SHIP_X, PRICE_Y)), "balance": (("c_acctbal",), (BALANCE,)), "discount": (("l_discount",), (DISCOUNT,))})
     if "w4" in templates:
         out.append(Pair("w4", t.mean_ci("ci", "events", "event_type", "value"), (MINUTE,), (MINUTES,), "slider"))
     if "w5" in templates:

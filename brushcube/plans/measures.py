@@ -17,6 +17,8 @@ from ..functions.safe import clamp, count_or_zero, ratio
 from ..views.spec import FUNCTIONS, Agg
 from .local import Local
 
+#: Values that a sketch of heavy hitters keeps.
+TRACKED = 10_000
 #: Registered by users: name -> (statistics per cell, merge of each, result). See ``register_measure``.
 EXTRA: dict[str, tuple[Callable, Callable, Callable]] = {}
 
@@ -164,10 +166,13 @@ def register_measure(name: str, create: Callable, merge: Callable, read: Callabl
 
 
 def register_sketches() -> None:
-    """Approximate distinct counts (HLL, theta), quantiles (KLL) and exact distinct ids (bitmap) as mergeable measures."""
+    """Approximate distinct counts (HLL, theta), quantiles (KLL), heavy hitters and exact distinct ids (bitmap) as mergeable measures."""
     register_measure("approx_distinct", F.hll_sketch_agg, F.hll_union_agg, F.hll_sketch_estimate)
     register_measure("theta_distinct", F.theta_sketch_agg, F.theta_union_agg, F.theta_sketch_estimate)
     kll = lambda q: lambda c: F.kll_sketch_get_quantile_double(c, F.lit(q))
     for name, q in (("kll_median", 0.5), ("kll_p90", 0.9), ("kll_p99", 0.99)):
         register_measure(name, lambda c: F.kll_sketch_agg_double(c.cast("double")), F.kll_merge_agg_double, kll(q))
+    # heavy hitters: counts are exact while a cell and their union have fewer values than are tracked
+    call = F.call_function
+    register_measure("top_5", lambda c: call("approx_top_k_accumulate", c, F.lit(TRACKED)), lambda c: call("approx_top_k_combine", c, F.lit(TRACKED)), lambda c: call("approx_top_k_estimate", c, F.lit(5)))
     register_measure("bitmap_distinct", lambda c: F.bitmap_construct_agg(F.bitmap_bit_position(c)), F.bitmap_or_agg, F.bitmap_count)
