@@ -20,6 +20,7 @@ from ..views import templates as t
 from ..views.spec import Agg, ViewSpec
 from . import workloads as w
 from .oracles import by_hand
+from .studies import studies
 
 TABLES = ("lineitem", "orders", "customer", "part", "supplier", "nation", "region", "events", "embeddings", "documents", "pages", "labels")
 
@@ -239,15 +240,6 @@ def mv_precompute_last(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-def mv_size(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rows, base rows and reduction of the price-active pre-aggregates."""
-    coord, rows = coordinator(spark, sf_dir), []
-    for p in w.pairs(("w1l",)):
-        if p.columns == ("l_extendedprice",):
-            rows.append((p.view.id, coord.cells.ensure(p.view, p.clause(0, 0.1)).rows, coord.relations.get("lineitem").df.count()))
-    return spark.createDataFrame(rows, "view string, cells long, base long")
-
-
 def view_linear(two: bool) -> Callable:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         v = t.linear_density("lin", "events", "value", Scale("linear", (0, 600), (0, 60)), *(("user_id", Scale("linear", (0, 150), (0, 15))) if two else ()))
@@ -418,7 +410,6 @@ def other() -> dict[str, tuple[Callable, str | None]]:
     return {
         "compose_includes": (compose_includes, "SELECT p_size, count(*) AS n FROM part WHERE p_type IN ('PROMO', 'STANDARD') AND p_brand IN ('Brand#2', 'Brand#8', 'Brand#9') GROUP BY 1"),
         "mv_precompute_last": (mv_precompute_last, f"SELECT {w.HOUR} AS x, count(*) AS y FROM events WHERE event_type IN ('view', 'click') GROUP BY 1"),
-        "mv_size": (mv_size, "SELECT v AS view, count(*) AS cells, (SELECT count(*) FROM lineitem) AS base FROM (SELECT DISTINCT 'quantity' AS v, CAST(0.0 AS DOUBLE) + CAST(5.0 AS DOUBLE) * floor((l_quantity - CAST(0.0 AS DOUBLE)) / CAST(5.0 AS DOUBLE)) AS g, CAST(floor(CAST(600.0 AS DOUBLE) * (l_extendedprice - CAST(0.0 AS DOUBLE)) / CAST(110000.0 AS DOUBLE)) AS BIGINT) AS a FROM lineitem UNION ALL SELECT DISTINCT 'discount', l_discount, CAST(floor(CAST(600.0 AS DOUBLE) * (l_extendedprice - CAST(0.0 AS DOUBLE)) / CAST(110000.0 AS DOUBLE)) AS BIGINT) FROM lineitem) GROUP BY 1"),
         "view_linear1d": (view_linear(False), _linear_sql(False)), "view_linear2d": (view_linear(True), _linear_sql(True)),
         "view_lines": (view_lines, f"WITH c AS (SELECT user_id, {w.HOUR} AS x, CAST(floor(value / 20) AS BIGINT) AS y, count(*) AS k FROM events GROUP BY 1, 2, 3), n AS (SELECT *, k / sum(k) OVER (PARTITION BY user_id, x) AS s FROM c) SELECT x, y, round(sum(s), 6) AS w FROM n WHERE user_id BETWEEN 0 AND 39 GROUP BY 1, 2"),
         "dense_tile": (dense_tile, _H), "prefix_tile": (prefix_tile, _H), "stream_cells": (stream_cells, _H),
@@ -431,18 +422,18 @@ def other() -> dict[str, tuple[Callable, str | None]]:
         "gate_estimate": (gate_estimate, "SELECT true AS near, count(DISTINCT (floor(l_quantity / 5), floor(600 * l_extendedprice / 110000))) / count(*) < 0.5 AS worth FROM lineitem"),
         "w6_highlight": (highlight, "SELECT p_partkey, p_size BETWEEN 10 AND 30 AND p_retailprice BETWEEN 920 AND 960 AS selected FROM part"),
         "view_windowed": (windowed, "SELECT event_id, user_id, gap FROM (SELECT *, round(value - lag(value) OVER (PARTITION BY user_id ORDER BY ts, event_id), 6) AS gap FROM events) WHERE gap > 300"),
-        "sketch_hll": (sketch("approx_distinct"), None), "sketch_theta": (sketch("theta_distinct"), None), "sketch_kll": (sketch("kll_median"), None), "sketch_bitmap": (sketch("bitmap_distinct"), "SELECT l_returnflag AS flag, count(DISTINCT l_linenumber) AS v FROM lineitem WHERE CAST(floor(CAST(600.0 AS DOUBLE) * l_quantity / CAST(50.0 AS DOUBLE)) AS BIGINT) BETWEEN 120 AND 240 GROUP BY 1"),
+        "sketch_bitmap": (sketch("bitmap_distinct"), "SELECT l_returnflag AS flag, count(DISTINCT l_linenumber) AS v FROM lineitem WHERE CAST(floor(CAST(600.0 AS DOUBLE) * l_quantity / CAST(50.0 AS DOUBLE)) AS BIGINT) BETWEEN 120 AND 240 GROUP BY 1"),
     }
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     from ..operators import relational
 
-    return {k: c.run for k, c in view_cases().items()} | {k: f for k, (f, _) in other().items()} | relational.queries()
+    return {k: c.run for k, c in view_cases().items()} | {k: f for k, (f, _) in (other() | studies()).items()} | relational.queries()
 
 
 def oracle_sql() -> dict[str, str]:
     from ..operators import relational
 
     own = by_hand()
-    return {k: c.sql(own.get(k)) for k, c in view_cases().items()} | {k: to_duck(s) if "unix_" in s else s for k, (_, s) in other().items() if s} | relational.oracle_sql()
+    return {k: c.sql(own.get(k)) for k, c in view_cases().items()} | {k: to_duck(s) if "unix_" in s else s for k, (_, s) in (other() | studies()).items() if s} | relational.oracle_sql()

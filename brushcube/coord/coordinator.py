@@ -24,6 +24,7 @@ from ..sources.store import Relations, Store
 from ..views.spec import ViewSpec
 from ..views.sqlview import sql_view
 from .cache import ResultCache
+from .consolidate import same_keys
 
 
 #: Events that the log keeps, and gate estimates.
@@ -134,12 +135,41 @@ class Coordinator:
             else:
                 path, (out, merged) = "cells", self.cells.merged(self.cells.ensure(view, clause, residual), view, clause)
             self.cache.put(key, out)
-        self.log.append(Event(view_id, path, reasons, 1000 * (time.time() - began), merged))
+        return self._hand_out(view_id, out, Event(view_id, path, reasons, 1000 * (time.time() - began), merged))
+
+    def _hand_out(self, view_id: str, out: pa.Table, event: Event) -> pa.Table:
+        self.log.append(event)
         self.results[view_id] = out
         if view_id in self._handlers:
             self._handlers[view_id](view_id, out)
         return out
 
+    def _shared(self, ids: list[str], state: Selection) -> list[list[str]]:
+        """Views whose direct queries have the source, keys and predicate in common, in one list; every other view in its own."""
+        groups: dict[object, list[str]] = {}
+        for v in ids:
+            view = self.views[v][0]
+            key: object = v
+            plain = view.aggs and not (view.raw or view.post or view.columns or view.having or view.order or view.limit is not None or view.offset)
+            if plain and self.gate is None and len(ids) > 1 and self.cache.get(self._key(view, state)) is None:
+                reasons, pred, _ = self._decide(view, state, state.active)
+                if reasons:
+                    key = (view.source, view.derive, view.explode, view.group, pred.sql())
+            groups.setdefault(key, []).append(v)
+        return list(groups.values())
+
+    def query_together(self, ids: list[str], state: Selection) -> list[pa.Table]:
+        """One scan for views that ``_shared`` put together."""
+        began, views = time.time(), [self.views[v][0] for v in ids]
+        reasons, pred, _ = self._decide(views[0], state, state.active)
+        table = direct(same_keys(views), self.relations.get(views[0].source).df, pred).toArrow()
+        keys, tables = [a for a, _ in views[0].group], []
+        for v in views:
+            out = table.select(keys + [f"{v.id}__{a.alias}" for a in v.aggs]).rename_columns(keys + [a.alias for a in v.aggs])
+            self.cache.put(self._key(v, state), out)
+            tables.append(self._hand_out(v.id, out, Event(v.id, "direct", (*reasons, "one scan for several views"), 1000 * (time.time() - began))))
+        return tables
+
     def _key(self, view: ViewSpec, selection: Selection) -> str:
         r = self.relations.get(view.source)
         active = selection.active
@@ -150,7 +180,9 @@ class Coordinator:
 
     def on_update(self, selection: Selection, clause: Clause, state: Selection | None = None) -> list[Future]:
         state = state or selection.freeze(clause)
-        return [self._pool.submit(inheritable_thread_target(self.spark)(self.query), v, clause, state) for v in self.affected(selection, clause)]
+        run = inheritable_thread_target(self.spark)
+        return [self._pool.submit(run(self.query), g[0], clause, state) if len(g) == 1 else self._pool.submit(run(self.query_together), g, state)
+                for g in self._shared(self.affected(selection, clause), state)]
 
     # -- ahead of time ----------------------------------------------------------------------------------------------
     def on_activate(self, selection: Selection, example: Clause) -> list[Future]:

@@ -113,13 +113,18 @@ def prefix_frame(dense: DataFrame, keys: list[str], active: list[str]) -> DataFr
     return dense
 
 
-def runtime_side(view: ViewSpec, base: DataFrame, pred: Pred = TRUE) -> dict[tuple, int]:
-    """Proxy for systems that aggregate in the interface's own runtime: Spark filters, rows cross over as Arrow, Python counts. Streams batch by batch."""
-    keys = [F.expr(sql).alias(a) for a, sql in view.group]
-    counts: dict[tuple, int] = {}
-    for row in view.steps(base).where(pred.column()).select(*keys).toLocalIterator(True):
-        counts[tuple(row)] = counts.get(tuple(row), 0) + 1
-    return counts
+def runtime_frame(view: ViewSpec, base: DataFrame, pred: Pred = TRUE) -> DataFrame:
+    """Proxy for systems that aggregate in the interface's own runtime: Spark filters, all rows cross over as Arrow, Python counts batch by batch
+    (one count per key and batch comes back). Of one count per key; keys are the view's."""
+    keys = view.steps(base).where(pred.column()).select(*[F.expr(sql).alias(a) for a, sql in view.group])
+    names, count = [a for a, _ in view.group], view.aggs[0].alias
+
+    def counts(batches):
+        for b in batches:
+            yield b.groupby(names, dropna=False).size().rename(count).reset_index()
+
+    schema = ", ".join([f"`{a}` {k}" for a, k in keys.dtypes] + [f"`{count}` bigint"])
+    return keys.mapInPandas(counts, schema).groupBy(*names).agg(F.sum(count).alias(count))
 
 
 def cube_baseline(base: DataFrame, dims: dict[str, str], measure: str) -> DataFrame:

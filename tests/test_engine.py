@@ -17,7 +17,7 @@ from brushcube.model.clause import clear, interval, interval_nd, match, point
 from brushcube.model.pred import Constant
 from brushcube.model.scales import Scale
 from brushcube.model.selection import Selection
-from brushcube.operators.baselines import Axis, DenseTile, OverBudget, PrefixTile, cube_baseline, runtime_side
+from brushcube.operators.baselines import Axis, DenseTile, OverBudget, PrefixTile, cube_baseline, runtime_frame
 from brushcube.plans import measures
 from brushcube.plans.measures import Options
 from brushcube.plans.preagg import direct
@@ -28,7 +28,8 @@ from .conftest import SF, rows_of
 
 BIG = "/root/testdata/sf0.01"
 SOME = ["scale_log", "bin_ceil", "bin_reversed", "clause_point2", "clause_interval2d", "resolve_union", "cross_intersect", "empty_none", "mv_cleared", "agg_corr", "agg_regr_r2", "agg_geomean", "agg_arg_max", "agg_product", "agg_filter", "agg_having",
-        "match_regexp", "reject_median", "w2_hist", "w3_hist", "w4_ci", "w5_fit", "view_hexbin", "view_linear2d", "view_lines", "prefix_tile", "grouping_sets", "sql_view", "stream_cells", "mv_precompute_last", "op_join_asof", "op_join_range"]
+        "match_regexp", "reject_median", "w2_hist", "w3_hist", "w4_ci", "w5_fit", "view_hexbin", "view_linear2d", "view_lines", "prefix_tile", "grouping_sets", "sql_view", "stream_cells", "mv_precompute_last", "op_join_asof", "op_join_range",
+        "session_replay", "cold_start", "together", "sweep_step", "centring", "upsampled", "view_rebinned", "sketch_topk", "sketch_kll", "cube_baseline", "runtime_side", "st_late", "st_session", "st_dedup", "st_state", "stream_compacted", "w3c_balance", "w6_hover"]
 
 
 def coord(spark, tmp_path, **k) -> Coordinator:
@@ -194,7 +195,7 @@ def test_dense_and_prefix_equal_sparse(spark, tmp_path):
     big = [Axis("x", "0", 0, 300), Axis("y", "0", 0, 200)]
     with pytest.raises(OverBudget):
         DenseTile.build(ev, big, interval_nd("s", ("value", "user_id"), ((0, 1), (0, 1)), (w.DIM_X, w.DIM_Y)))
-    assert runtime_side(HOUR, ev, DRAG.bin_predicate()) == {(k,): v for k, v in want.items()}
+    assert {r.x: r.y for r in runtime_frame(HOUR, ev, DRAG.bin_predicate()).collect()} == want
     assert cube_baseline(ev, {"t": "event_type", "h": w.HOUR}, "value").where("t IS NULL AND h IS NULL").first().n == 1000
 
 
