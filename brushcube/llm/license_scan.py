@@ -1,15 +1,18 @@
 """Licence scans: a trained paragraph classifier. Documents are scanned with DataFrame functions only.
 
-A paragraph is a line. Features are word 1- to 3-grams that hold a trigger (a word of a licence notice that a sample of ordinary paragraphs hardly
+A paragraph is a line with the lines that it is wrapped into: a line that doesn't end a sentence goes on in the next one that isn't blank. Features are word 1- to 3-grams that hold a trigger (a word of a licence notice that a sample of ordinary paragraphs hardly
 has, and of every notice its rarest words at least, so many that a paragraph that the notice could confirm holds one), so a paragraph without
 triggers has no features and is unknown by the model itself. How often a notice occurs in the documents decides nothing: the sample is of distinct paragraphs, and those
 that a notice would confirm aren't ordinary. A multinomial logistic regression over the families and
 ``unknown`` is trained on varied notices and on ordinary paragraphs (a bounded sample); a family counts
-where its probability reaches the calibrated threshold, and a comparison with the family's notices (share of the
+where its probability reaches the threshold, which is calibrated on held-out samples (a fifth of the ordinary paragraphs and of the
+varied notices, not learnt from; ``held_out`` has their shares), and a comparison with the family's notices (share of the
 notice's words that stand in the paragraph) confirms it.
 
 Training runs on the driver on at most ORDINARY paragraphs, from anywhere in the documents, of at most PARAGRAPH characters; scanning reads every paragraph of every text.
 
+Two notices on neighbouring lines that end no sentence are one paragraph, which is given the more probable family.
+
 Defined results: null and empty texts have no paragraphs and no licence; of several licences in a document all are
 listed, the most probable is named (ties by name); repeated rows are scanned each; other columns are kept by ``scan``.
 """
@@ -20,7 +23,7 @@ import random
 from collections import Counter
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import LETTER_WORD, hand_over, table, words_of
@@ -41,6 +44,8 @@ NOTICES = {
 }
 UNKNOWN = "unknown"
 ORDINARY, PARAGRAPH, VARIANTS, CONFIRM = 4000, 2000, 40, 0.6
+#: A line break inside a sentence. Blanks are only tried from the first of a run, so long runs cost no more than their length.
+WRAP = r"(?<![.!?:;\s])[ \t\r]*\n(?=[ \t]*[^\s])"
 
 
 def _words(text: str) -> list[str]:
@@ -56,6 +61,10 @@ def grams(words: list[str], triggers: set[str]) -> set[str]:
     return {" ".join(g) for n in (1, 2, 3) for i in range(len(words) - n + 1) if triggers & set(g := words[i : i + n])}
 
 
+def paragraphs_of(text) -> Column:
+    return F.split(F.regexp_replace(F.coalesce(text, F.lit("")), WRAP, " "), "\n")
+
+
 def likeness_of(words: list[str]) -> float:
     """The largest share of a notice's words that stand in a paragraph, as ``scan`` compares them."""
     have = set(words)
@@ -76,6 +85,7 @@ class LicenceModel:
             self.triggers |= set(sorted((w for w in n if not w.isdigit() and len(w) > 1), key=lambda w: (often[w], w))[: int((1 - CONFIRM) * len(n)) + 1])
         self.classes = [UNKNOWN, *sorted(NOTICES)]
         samples = [(w, 0) for w in plain]
+        apart = [i % 5 == 4 for i in range(len(plain))]  # held out
         filler = [w for p in plain for w in p] or ["text"]
         for k, name in enumerate(self.classes[1:], 1):
             for i in range(VARIANTS):
@@ -84,6 +94,7 @@ class LicenceModel:
                     w = [x for x in w if rng.random() > 0.08]
                     w = [rng.choice(filler) for _ in range(rng.choice((0, 0, 2, 5)))] + w + [rng.choice(filler) for _ in range(rng.choice((0, 0, 2, 5)))]
                 samples.append((w, k))
+                apart.append(i >= len(NOTICES[name]) and i % 5 == 4)
         for t in sorted(self.triggers):  # a single word out of a notice names no licence
             samples += [([*rng.choices(filler, k=4), t, *rng.choices(filler, k=4)], 0)] * 3
         self.features = sorted({g for w, _ in samples for g in grams(w, self.triggers)} & {g for n in NOTICES.values() for t in n for g in grams(_words(t), self.triggers)})
@@ -93,14 +104,20 @@ class LicenceModel:
             x[i, 0], y[i, k] = 1, 1
             for g in grams(w, self.triggers) & at.keys():
                 x[i, at[g] + 1] = 1
+        out = np.array(apart + [False] * (len(samples) - len(apart)), dtype=bool)
+        xs, ys, x, y = x[out], y[out], x[~out], y[~out]
         b = np.zeros((x.shape[1], y.shape[1]))
         weight = np.where(y[:, 0] == 1, min(1.0, 4 * VARIANTS / max(1, y[:, 0].sum())), 1.0)[:, None]
         for _ in range(400):
             p = self._soft(x @ b)
             b -= 0.02 * (x.T @ (weight * (p - y)) + 0.02 * np.vstack([np.zeros(b.shape[1]), b[1:]]))
-        p = self._soft(x @ b)
-        # Threshold: above every ordinary sample, but no more than keeps the notices.
-        self.threshold = float(np.clip(1 - p[y[:, 0] == 1, 0].min() + 1e-3 if (y[:, 0] == 1).any() else 0.5, 0.5, 0.9))
+        # The least threshold, of at most 0.9, that no held-out ordinary paragraph reaches.
+        p, plain_ones = self._soft(xs @ b), ys[:, 0] == 1
+        self.threshold = float(np.clip(p[plain_ones, 1:].max() + 1e-3 if plain_ones.any() else 0.5, 0.5, 0.9))
+        named = np.where(p[:, 1:].max(axis=1, initial=0.0) >= self.threshold, p[:, 1:].argmax(axis=1) + 1, 0) if len(p) else np.zeros(0, int)
+        right = named == ys.argmax(axis=1)
+        share = lambda of: (int(of.sum()), float(right[of].mean()) if of.any() else 1.0)
+        self.held_out = {"ordinary": share(plain_ones), "notices": share(~plain_ones)}
         self.weights = b
 
     @staticmethod
@@ -111,7 +128,7 @@ class LicenceModel:
 
 def train_on(docs: DataFrame, text: str = "text") -> LicenceModel:
     """Learn from the notices and at most ORDINARY distinct paragraphs (those lowest by hash, wherever they stand)."""
-    lines = docs.select(F.explode(F.split(text, "\n")).alias("t")).where(F.length(F.trim("t")) > 0).select(F.substring("t", 1, PARAGRAPH).alias("t"))
+    lines = docs.select(F.explode(paragraphs_of(F.col(text))).alias("t")).where(F.length(F.trim("t")) > 0).select(F.substring("t", 1, PARAGRAPH).alias("t"))
     lines = lines.withColumn("h", F.xxhash64("t"))
     last = lines.select("h").distinct().orderBy("h").limit(ORDINARY).agg(F.max("h")).first()[0]  # hashes travel, not texts
     first = lines.where(F.col("h") <= F.lit(last)).groupBy("h").agg(F.min("t").alias("t")).orderBy("h")
@@ -125,7 +142,7 @@ def scan(docs: DataFrame, model: LicenceModel, text: str = "text") -> DataFrame:
     docs = docs.drop(*[c for c in own if c in docs.columns])
     keep = [c for c in docs.columns if c != text]
     triggers = sorted(model.triggers)
-    rows = docs.select(F.monotonically_increasing_id().alias("row_no"), *keep, F.split(F.lower(F.coalesce(text, F.lit(""))), "\n").alias("paragraphs"))
+    rows = docs.select(F.monotonically_increasing_id().alias("row_no"), *keep, paragraphs_of(F.lower(F.col(text))).alias("paragraphs"))
     split = F.transform("paragraphs", lambda p, i: F.struct(i.alias("no"), words_of(p, LETTER_WORD).alias("w")))
     hot = F.filter(split, lambda s: F.exists(s["w"], lambda w: w.isin(triggers)))
     count = F.size(F.filter("paragraphs", lambda p: F.length(F.trim(p)) > 0)).cast("long")

@@ -265,7 +265,8 @@ def test_licences(spark):
     got = {}
     for r in license_scan.scan(planted.withColumn("licence", F.lit("clash")), model).collect():
         got.setdefault(r.doc_id, []).append((r.licence, r.confirmed, r.n_paragraphs))
-    assert got[1] == [("Apache-2.0", True, 3)] and got[2][0][0] == "unknown" and got[3] == [("unknown", False, 0)] == got[4] and got[5] == [("MIT", True, 1)] * 2 and got[6][0][0] == "GPL-3.0" and got[7][0][0] == "unknown"
+    # "first line" ends no sentence, so the notice after it belongs to its paragraph
+    assert got[1] == [("Apache-2.0", True, 2)] and got[2][0][0] == "unknown" and got[3] == [("unknown", False, 0)] == got[4] and got[5] == [("MIT", True, 1)] * 2 and got[6][0][0] == "GPL-3.0" and got[7][0][0] == "unknown"
     assert license_scan.scan(planted.limit(0), model).count() == 0
 
 
@@ -278,6 +279,20 @@ def test_common_notices_stay_detected(spark, family, notice):
     assert license_scan.train_on(docs.limit(0)).triggers
 
 
+def test_wrapped_notices_and_held_out_samples(spark):
+    """Every notice that is wrapped in its middle is found, blank lines keep paragraphs apart, and samples that weren't learnt from are told apart."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")
+    model = license_scan.train_on(docs)
+    notices = [(f, n.split()) for f, ns in license_scan.NOTICES.items() for n in ns]
+    rows = [(i, f"It ends here.\n{' '.join(n[: len(n) // 2])}  \n  {' '.join(n[len(n) // 2 :])}\nMore follows.") for i, (_, n) in enumerate(notices)]
+    got = {r.doc_id: (r.licence, r.n_paragraphs) for r in license_scan.scan(documents(spark, rows), model).collect()}
+    ends = [n[-1].endswith(".") for _, n in notices]
+    assert all(got[i] == (f, 3) for i, (f, _) in enumerate(notices)) and all(ends)
+    apart = license_scan.scan(documents(spark, [(1, "A heading\n\n\nReleased under the MIT License\n \nother words")]), model).first()
+    assert (apart.licence, apart.n_paragraphs) == ("MIT", 3)
+    assert model.held_out["ordinary"][0] > 50 and model.held_out["ordinary"][1] >= 0.99 and model.held_out["notices"][0] == 88 and model.held_out["notices"][1] >= 0.9
+
+
 def test_notices_never_lose_their_triggers():
     """Whatever is ordinary, a paragraph that a notice could confirm holds a trigger."""
     every = [w for n in license_scan._NOTICE_WORDS for w in n]
