@@ -89,6 +89,17 @@ def _fs(spark: SparkSession, path: str):
     return p.getFileSystem(spark._jsc.hadoopConfiguration()), p
 
 
+def give_back() -> None:
+    """At the end of a Python worker's task: memory that is free goes back to the system. Workers are kept for later tasks, whose peaks would come on top."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):  # glibc has it
+        trim(0)
+
+
 def ascii_lower(col: Column) -> Column:
     """Lower-case A-Z and nothing else. Pure ASCII texts take the vectorised path."""
     return F.when(F.octet_length(col) == F.char_length(col), F.lower(col)).otherwise(F.translate(col, _UPPER, _LOWER))

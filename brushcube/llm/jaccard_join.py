@@ -37,7 +37,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import hand_over, part_of, release, table
+from .common import give_back, hand_over, part_of, release, table
 from .components import components
 
 SHINGLE = 5
@@ -47,7 +47,7 @@ _K = [np.uint64(k) for k in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19
 JOINED, BLOCK, TOKENS = 32, 512, 400_000
 BITS = 25  # log2 of the bits of a scan filter: 4 MB, whatever the data
 #: Hashes that a signing task holds before it sends them, that a slicing task cuts at once, and that are sorted together; rows (of texts, sets or blocks) that go to a Python worker at once.
-FLUSH, CUT, SORTED, BATCH = 1_500_000, 500_000, 1_000_000, 128
+FLUSH, CUT, SORTED, BATCH = 1_000_000, 250_000, 500_000, 128
 
 
 def bands(largest: int) -> np.ndarray:
@@ -224,6 +224,7 @@ def _signer(parts: int, scheme: Scheme):
                     yield out()
         if size:
             yield out()
+        give_back()
 
     return sign
 
@@ -262,6 +263,7 @@ def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 yield out()
     if size:
         yield out()
+    give_back()
 
 
 def _shared(part: int, cls: np.ndarray, sig: np.ndarray, role: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -270,6 +272,7 @@ def _shared(part: int, cls: np.ndarray, sig: np.ndarray, role: np.ndarray) -> It
     s = sig[order]
     twin = np.r_[False, s[1:] == s[:-1]]
     order = order[twin | np.r_[twin[1:], False]]  # most hashes stand alone
+    del s, twin
     cls, sig, role = cls[order], sig[order], role[order]
     order = np.lexsort((role, cls, sig))
     cls, sig, role = cls[order], sig[order], role[order]
@@ -307,6 +310,7 @@ def _report(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             size += len(sig[-1])
     if size:
         yield from _shared(part, np.concatenate(cls), np.concatenate(sig), np.concatenate(role))
+    give_back()
 
 
 def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import give_back, table
 
 TRAIN_TOXIC, TRAIN_ORDINARY, TRAIN_CHARS = 1500, 4500, 65_536
 COMMON, MARKS, WINDOW, COARSE, FINE, STEMS = 12_000, 1_000, 6, 2, 2, (4, 5, 6)
@@ -178,6 +178,7 @@ def scorer(model: ToxicityModel):
             m.open()
         for texts in batches:
             yield pa.array([m.score(t.as_py()) for t in texts], pa.float64())
+        give_back()
 
     return score
 
