@@ -51,6 +51,7 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
     return mixing.mix(docs).where("copies > 0")
 
 
+BATCH = 1000  # rows of texts that go to a Python worker at once
 STAGES = [("toxicity", toxicity_stage), ("jaccard_join", jaccard_stage), ("decontamination", decontamination_stage), ("mixing", mixing_stage)]
 ORACLE_SQL = None  # the classifier has no SQL; tests hold run() against a plain version
 
@@ -58,5 +59,5 @@ ORACLE_SQL = None  # the classifier has no SQL; tests hold run() against a plain
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = hand_over(stage(spark, docs, sf_dir), f"stage-{name}")
+        docs = hand_over(stage(spark, docs, sf_dir), f"stage-{name}", batch=BATCH)
     return STAGES[-1][1](spark, docs, sf_dir)
