@@ -462,3 +462,17 @@ def test_pipeline_tells_rows_of_one_id_apart(spark):
 def test_registry_is_whole():
     assert [k for k in registry.queries()][:10] == [k for k in registry._MODULES] and "pipeline" in registry.queries()
     assert duckdb.__version__ and len(registry._MODULES) == 10
+
+
+def test_html_differencing_decides_marked_pages(spark):
+    """Pages that mark their article are paired and differenced like others; the marks restore shared article lines and leave out own lines outside."""
+    def shell(i):
+        return page(f"<div>Home of pages</div><div>today {i}</div><article><p>{text(20, i)}</p><p>shared words</p></article><div>All rights</div>")
+    rows = [(i, f"http://h.com/a/{i}", shell(i)) for i in range(9)] + [(20, "http://h.com/a/5", shell(5)), (20, "http://h.com/a/5", shell(5)), (21, "http://h.com/b", page("<div>Home of pages</div><div>loose</div><div>All rights</div>"))]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for group in (400, 2):
+        got = html_extract.extract_text(pages, group=group).collect()
+        assert len(got) == 12
+        for r in got:
+            want = ("loose", False, 1, 0, 0) if r.page_id == 21 else (f"{text(20, 5 if r.page_id == 20 else r.page_id)} shared words", True, 2, 1, 1)
+            assert (r.text, r.marked, r.own, r.restored, r.left_out) == want
