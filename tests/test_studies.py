@@ -52,3 +52,10 @@ def test_pixel_column_takes_the_first_of_equal_values(spark, tmp_path):
     for df in (got, direct(view, ev, clause.bin_predicate())):
         assert rows_of(df.selectExpr("px", "t_at_vmin", "t_at_vmax")) == want
     c.close()
+
+
+def test_empty_none_reads_its_table(spark):
+    """Nothing is kept before the first brush and after it; what is kept under it is read from the table by Spark's tasks."""
+    df = R.queries()["empty_none"](spark, SF)
+    assert {r.state for r in df.collect()} == {"brushed"}
+    assert "Scan" in df._jdf.queryExecution().executedPlan().toString()
